@@ -143,12 +143,12 @@ def _estimates(points: DataFrame, steps: int) -> DataFrame:
 
 def judge(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", groups: tuple[str, ...] = ("lang", "source"),
-    min_words: int = 50, min_group: int = 40, steps: int = 3, cutoff: float = 60.0,
+    min_words: int = 50, min_group: int = 40, steps: int = 3, cutoff: float = 80.0,
 ) -> DataFrame:
     """doc_id, the base statistics, base_failed, distance2 (scaled) and kept for every row of ``docs``.
 
     ``cutoff`` bounds the squared distance after it is scaled so that the median equals that of five normal
-    coordinates; 60 lies far beyond their 1 - 1e-9 quantile, so that only gross outliers are rejected.
+    coordinates; 80 lies far beyond their 1 - 1e-9 quantile, so that only gross outliers are rejected.
     """
     name = F.concat_ws("\x1f", *[F.coalesce(F.col(g).cast("string"), F.lit("\x00")) for g in groups if g in docs.columns])
     rows = with_statistics(docs.select(F.col(id_col).alias("doc_id"), F.col(text).alias("text"), name.alias("grp"))).drop("text")

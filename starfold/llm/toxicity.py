@@ -90,7 +90,7 @@ class ToxicModel:
         return 1 / (1 + math.exp(-max(-60.0, min(60.0, z))))
 
 
-def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, least_z: float = 3.0) -> ToxicModel:
+def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, least_g: float = 4.0, least_texts: int = 3) -> ToxicModel:
     """``rows`` are (text, label); ``share`` is the true share of toxic rows, since the sample is balanced."""
     model = ToxicModel()
     texts = [(text_words(t), y) for t, y in rows]
@@ -111,9 +111,11 @@ def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, le
         prior = strength * (c0 + c1) / both
         odds = lambda c, n: math.log((c + prior) / (n + strength - c - prior))
         delta = odds(c1, n1) - odds(c0, n0)
-        z = delta / math.sqrt(1 / (c1 + prior) + 1 / (c0 + prior))
-        # A word of one toxic text says more of its subject than of its tone.
-        if abs(z) >= least_z and (z < 0 or spread[1][w] >= max(2, 0.005 * docs1)):
+        # Signed root of the likelihood ratio: unlike the variance of the log-odds it holds for words that one side lacks.
+        want1, want0 = (c0 + c1) * n1 / both, (c0 + c1) * n0 / both
+        g = math.sqrt(max(0.0, 2 * ((c1 * math.log(c1 / want1) if c1 else 0.0) + (c0 * math.log(c0 / want0) if c0 else 0.0))))
+        # A word of one or two toxic texts says more of their subject than of their tone.
+        if g >= least_g and (delta < 0 or spread[1][w] >= max(least_texts, 0.005 * docs1)):
             model.weights[w] = delta
     weights = model.weights
     base = Counter(weights[w] for w in counts[0].elements() if w in weights) if n0 < 5_000_000 else Counter({weights[w]: c for w, c in counts[0].items() if w in weights})
