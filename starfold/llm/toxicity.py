@@ -90,7 +90,7 @@ class ToxicModel:
         return 1 / (1 + math.exp(-max(-60.0, min(60.0, z))))
 
 
-def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, least_g: float = 4.0, least_texts: int = 3) -> ToxicModel:
+def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, least_g: float = 4.0, least_texts: int = 3, least_share: float = 0.3) -> ToxicModel:
     """``rows`` are (text, label); ``share`` is the true share of toxic rows, since the sample is balanced."""
     model = ToxicModel()
     texts = [(text_words(t), y) for t, y in rows]
@@ -115,7 +115,7 @@ def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, le
         want1, want0 = (c0 + c1) * n1 / both, (c0 + c1) * n0 / both
         g = math.sqrt(max(0.0, 2 * ((c1 * math.log(c1 / want1) if c1 else 0.0) + (c0 * math.log(c0 / want0) if c0 else 0.0))))
         # A word of one or two toxic texts says more of their subject than of their tone.
-        if g >= least_g and (delta < 0 or spread[1][w] >= max(least_texts, 0.005 * docs1)):
+        if g >= least_g and (delta < 0 or (delta >= math.log(2) and spread[1][w] >= max(least_texts, 0.005 * docs1))):
             model.weights[w] = delta
     weights = model.weights
     base = Counter(weights[w] for w in counts[0].elements() if w in weights) if n0 < 5_000_000 else Counter({weights[w]: c for w, c in counts[0].items() if w in weights})
@@ -139,6 +139,8 @@ def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, le
     model.scale = math.exp(min(0.0, mean - 0.5772156649))
     x = np.array([math.log1p(model.evidence(ws)[0]) for ws, _ in texts])
     y = np.array([y for _, y in texts], float)
+    # Missing a toxic text costs more than a second look at a clean one: toxic rows weigh at least ``least_share``.
+    share = max(share, least_share)
     wt = np.where(y == 1, share / max(1, y.sum()), (1 - share) / max(1, (1 - y).sum()))
     a, b = 1.0, -1.0
     for _ in range(200):
