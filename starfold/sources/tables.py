@@ -61,7 +61,7 @@ def session_chain(spark, d):
     ev = table(spark, d, "events", ["event_id", "user_id", "ts"])
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
     near = ev.withColumn("nxt", F.lead("event_id").over(w)).withColumn("at", F.lead("ts").over(w))
-    return _pairs(near.where(F.unix_micros("at") - F.unix_micros("ts") < 1_800_000_000), F.col("event_id"), F.col("nxt"))
+    return _pairs(near.where(F.unix_micros(F.col("at").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp")) < 1_800_000_000), F.col("event_id"), F.col("nxt"))
 
 
 def turn_chain(spark, d):
