@@ -1,9 +1,9 @@
 """MinHash near-duplicates by ProbMinHash over weighted word shingles, banding and exact verification.
 
-Equal texts collapse first. Texts that share a band meet at a pivot of their bucket; pairs are verified by their
+Equal texts collapse first. Texts that share a band meet at a pivot of their bucket, the text in most company; pairs are verified by their
 exact probability Jaccard, and classes are the components of the verified links. Members of a bucket that are
-then still in different classes are compared as well: with new pivots while such pairs are many, and finally
-each with each across classes, so that no candidate is left untested. Pairs inside a class are never formed.
+then still in different classes are compared as well, unless their similarities to the pivot rule a link out, so
+that no candidate is left open. Pairs inside a class are never formed.
 
 Defined results: null ids belong to no class and are left out of the links; texts without words are linked only
 to equal texts; a null text is a class of its own. An id that repeats with other text has one class.
@@ -60,8 +60,8 @@ def _slices(sizes: list[int], most: int, rows: int):
         yield first, len(sizes) - first
 
 
-def verified(pairs: DataFrame, texts: DataFrame, *, words: int = 5, threshold: float = THRESHOLD) -> DataFrame:
-    """Of (a, b) those whose texts (vertex, raw) have a probability Jaccard of at least ``threshold``."""
+def similarities(pairs: DataFrame, texts: DataFrame, *, words: int = 5) -> DataFrame:
+    """(a, b) with the exact probability Jaccard ``sim`` of their texts (vertex, raw)."""
     left = texts.select(F.col("vertex").alias("a"), F.col("raw").alias("ra"))
     right = texts.select(F.col("vertex").alias("b"), F.col("raw").alias("rb"))
     joined = pairs.join(left, "a").join(right, "b").select("a", "b", "ra", "rb")
@@ -80,60 +80,51 @@ def verified(pairs: DataFrame, texts: DataFrame, *, words: int = 5, threshold: f
         for batch in batches:
             for at in _slices([len(x) for x in batch.column(2).to_pylist()], 2 << 20, 2000):
                 part = batch.slice(*at)
-                keep = [S.probability_jaccard(x, y) >= threshold - 1e-12 for x, y in zip(sets(part.column(2).to_pylist()), sets(part.column(3).to_pylist()))]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
+                sim = [S.probability_jaccard(x, y) for x, y in zip(sets(part.column(2).to_pylist()), sets(part.column(3).to_pylist()))]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sim, pa.float64())], ["a", "b", "sim"])
 
-    return joined.mapInArrow(step, "a bigint, b bigint")
+    return joined.mapInArrow(step, "a bigint, b bigint, sim double")
 
 
-def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, text: str = "text", most: float = 4.0) -> DataFrame:
-    """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``.
-
-    Cross-class pairs are listed only when there are at most ``most`` times as many as bucket members; until then
-    each bucket takes another pivot, whose links bring classes together.
-    """
+def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, text: str = "text") -> DataFrame:
+    """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``."""
     signed = stored(with_bands(docs, words=words, bands=bands, rows=rows, text=text))
     known = signed.where("digest is not null and doc_id is not null")
     reps = known.groupBy("digest").agg(F.min("doc_id").alias("vertex"), F.min_by("bands", "doc_id").alias("bands"))
     reps = stored(reps)
     cells = reps.select("vertex", F.explode("bands").alias("bucket"))
-    shared = cells.groupBy("bucket").agg(F.count("*").alias("n"), F.min("vertex").alias("pivot")).where("n > 1")
-    members = stored(cells.join(shared.select("bucket", "pivot"), "bucket"))
-    tried = stored(members.where("vertex <> pivot").select(F.col("pivot").alias("a"), F.col("vertex").alias("b")).distinct())
+    shared = cells.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
+    members = stored(cells.join(shared, "bucket"))
+    # The text in most company is the likeliest source of a family: as pivot it links the family at once.
+    weight = members.groupBy("vertex").agg(F.sum("n").alias("weight"))
+    members = stored(members.select("bucket", "vertex").join(weight, "vertex"))
+    pivots = members.groupBy("bucket").agg(F.max_by("vertex", F.struct("weight", -F.col("vertex"))).alias("pivot"))
+    met = members.join(pivots, "bucket").where("vertex <> pivot")
+    tried = stored(met.select(F.least("vertex", "pivot").alias("a"), F.greatest("vertex", "pivot").alias("b")).distinct())
     needed = members.select("vertex").distinct()
     # One row for each representative text that any pair can need: whole texts travel once.
     raws = docs.select(F.col("doc_id").alias("vertex"), F.col(text).cast("binary").alias("raw")).where("raw is not null and vertex is not null")
     texts = stored(raws.join(needed, "vertex", "left_semi"))
     if signed.select("doc_id").count() != signed.select("doc_id").distinct().count():
         texts = stored(texts.groupBy("vertex").agg(F.min("raw").alias("raw")))
-    links = stored(verified(tried, texts, words=words, threshold=threshold))
-    turn = 0
-    while True:
-        turn += 1
-        found = stored(connected_components(links).labels)
-        placed = members.join(found, "vertex", "left").select("bucket", "vertex", F.coalesce("component", "vertex").alias("component"))
-        cell = placed.groupBy("bucket", "component").agg(F.count("*").alias("n"))
-        mixed = cell.groupBy("bucket").agg(F.sum("n").alias("n"), F.count("*").alias("k"), F.sum(F.col("n") * F.col("n")).alias("sq")).where("k > 1")
-        mixed = stored(mixed)
-        size = mixed.agg(F.coalesce(F.sum((F.col("n") * F.col("n") - F.col("sq")) / 2), F.lit(0.0)).alias("pairs"), F.coalesce(F.sum("n"), F.lit(0)).alias("rows")).first()
-        if not size.rows:
-            break
-        open_ = stored(placed.join(mixed.select("bucket"), "bucket", "left_semi"))
-        last = size.pairs <= most * size.rows + 1000 or turn > 12
-        if last:
-            other = open_.select("bucket", F.col("vertex").alias("v2"), F.col("component").alias("c2"))
-            pairs = open_.join(other, "bucket").where("component <> c2 and vertex < v2").select(F.col("vertex").alias("a"), F.col("v2").alias("b"))
-        else:
-            pick = open_.groupBy("bucket").agg(F.min_by(F.struct("vertex", "component"), F.xxhash64("vertex", F.lit(turn))).alias("p"))
-            pairs = open_.join(pick, "bucket").where("component <> p.component").select(F.least("vertex", "p.vertex").alias("a"), F.greatest("vertex", "p.vertex").alias("b"))
-        fresh = stored(pairs.distinct().join(tried, ["a", "b"], "left_anti"))
-        more = stored(verified(fresh, texts, words=words, threshold=threshold))
-        gained = not more.isEmpty()
-        links = stored(links.unionByName(more)) if gained else links
-        if last:
-            found = stored(connected_components(links).labels) if gained else found
-            break
-        tried = stored(tried.unionByName(fresh))
+    tested = stored(similarities(tried, texts, words=words))
+    near = lambda df: df.where(F.col("sim") >= threshold - 1e-12).select("a", "b")
+    links = stored(near(tested))
+    found = stored(connected_components(links).labels)
+    # Members of a bucket that are still in different classes. One less its similarity to the pivot is a distance, so
+    # two members that are linked differ in it by at most the distance of a link: others need no test.
+    placed = met.select("bucket", "vertex", F.least("vertex", "pivot").alias("a"), F.greatest("vertex", "pivot").alias("b")).join(tested, ["a", "b"])
+    placed = placed.join(found, "vertex", "left").select("bucket", "vertex", "sim", F.coalesce("component", "vertex").alias("component"))
+    placed = stored(placed)
+    mixed = placed.groupBy("bucket").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("bucket")
+    open_ = placed.join(mixed, "bucket")
+    other = placed.select("bucket", F.col("vertex").alias("v2"), F.col("sim").alias("s2"), F.col("component").alias("c2"))
+    close = F.abs(F.col("sim") - F.col("s2")) <= 1 - threshold + 1e-9
+    pairs = open_.join(other, (open_.bucket == other.bucket) & (F.col("component") != F.col("c2")) & (F.col("vertex") < F.col("v2")) & close)
+    fresh = stored(pairs.select(F.col("vertex").alias("a"), F.col("v2").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
+    more = stored(near(similarities(fresh, texts, words=words)))
+    if not more.isEmpty():
+        found = stored(connected_components(links.unionByName(more)).labels)
     labels = found.select(F.col("vertex").alias("_v"), F.col("component").alias("_c"))
     named = reps.select("digest", "vertex").join(labels, F.col("vertex") == F.col("_v"), "left").select("digest", F.coalesce("_c", "vertex").alias("class_id"))
     out = signed.select("doc_id", "digest").join(named, "digest", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))

@@ -240,7 +240,7 @@ def _spread(values: list[np.ndarray], bucket: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def removed(docs: DataFrame, *, length: int = 50, gram: int = 26, chunk_bytes: int = 4 << 20, bucket_bytes: int = 48 << 20, text: str = "text", with_text: bool = False) -> DataFrame:
+def removed(docs: DataFrame, *, length: int = 50, gram: int = 26, chunk_bytes: int = 2 << 20, bucket_bytes: int = 16 << 20, text: str = "text", with_text: bool = False) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans and kept_sha256 of every row (and the kept bytes)."""
     spark = docs.sparkSession
     parts = max(4, int(spark.conf.get("spark.sql.shuffle.partitions")))
