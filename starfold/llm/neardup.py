@@ -2,8 +2,8 @@
 
 Equal texts collapse first. Texts that share a band meet at a pivot of their bucket, the text in most company; pairs are verified by their
 exact probability Jaccard, and classes are the components of the verified links. Members of a bucket that are
-then still in different classes are compared as well, unless their similarities to the pivot rule a link out, so
-that no candidate is left open. Pairs inside a class are never formed.
+then still in different classes are compared as well, unless their similarities to the pivot or
+their signatures rule a link out. Pairs inside a class are never formed.
 
 Defined results: null ids belong to no class and are left out of the links; texts without words are linked only
 to equal texts; a null text is a class of its own. An id that repeats with other text has one class.
@@ -11,6 +11,8 @@ to equal texts; a null text is a class of its own. An id that repeats with other
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -44,9 +46,27 @@ def with_bands(docs: DataFrame, *, words: int = 5, bands: int = BANDS, rows: int
                 made = S.mix(made + np.arange(bands, dtype=np.uint64) * S.PLACE).view(np.int64)
                 made[~some] = 0
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(np.where(some, bands, 0)))), pa.int32()), pa.array(made[some].reshape(-1)))
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), lists], ["doc_id", "digest", "bands"])
+                # Seven bits of each register, seven registers a word: sums of words cannot overflow.
+                spans = -(-bands * rows // 7)
+                low = np.zeros((len(texts), spans * 7), np.uint8)
+                low[:, :bands * rows] = (S.mix(sig) >> np.uint64(57)).astype(np.uint8)
+                wide = np.zeros((len(texts), spans, 8), np.uint8)
+                wide[:, :, :7] = low.reshape(len(texts), spans, 7)
+                packed = wide.reshape(len(texts), spans * 8).view("<i8")
+                sketch = pa.ListArray.from_arrays(pa.array(np.arange(len(texts) + 1) * packed.shape[1], pa.int32()), pa.array(packed.reshape(-1)))
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), lists, sketch], ["doc_id", "digest", "bands", "sketch"])
+
+    return base.mapInArrow(step, f"doc_id {id_type}, digest string, bands array<bigint>, sketch array<bigint>")
+
 
-    return base.mapInArrow(step, f"doc_id {id_type}, digest string, bands array<bigint>")
+def _agreeing(a: str, b: str, registers: int):
+    """Number of equal registers of two sketches: a byte of the difference carries into its top bit unless it is zero."""
+    ones, tops = F.lit(0x7F7F7F7F7F7F7F).cast("bigint"), F.lit(0x80808080808080).cast("bigint")
+    words = -(-registers // 7)
+    total = F.lit(registers)
+    for k in range(words):
+        total = total - F.bit_count((F.col(a)[k].bitwiseXOR(F.col(b)[k]) + ones).bitwiseAND(tops))
+    return total
 
 
 def _slices(sizes: list[int], most: int, rows: int):
@@ -90,7 +110,7 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``."""
     signed = stored(with_bands(docs, words=words, bands=bands, rows=rows, text=text))
     known = signed.where("digest is not null and doc_id is not null")
-    reps = known.groupBy("digest").agg(F.min("doc_id").alias("vertex"), F.min_by("bands", "doc_id").alias("bands"))
+    reps = known.groupBy("digest").agg(F.min("doc_id").alias("vertex"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("sketch", "doc_id").alias("sketch"))
     reps = stored(reps)
     cells = reps.select("vertex", F.explode("bands").alias("bucket"))
     shared = cells.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
@@ -117,10 +137,14 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     placed = placed.join(found, "vertex", "left").select("bucket", "vertex", "sim", F.coalesce("component", "vertex").alias("component"))
     placed = stored(placed)
     mixed = placed.groupBy("bucket").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("bucket")
-    open_ = placed.join(mixed, "bucket")
-    other = placed.select("bucket", F.col("vertex").alias("v2"), F.col("sim").alias("s2"), F.col("component").alias("c2"))
+    open_ = stored(placed.join(mixed, "bucket").join(reps.select("vertex", "sketch"), "vertex"))
+    other = open_.select("bucket", F.col("vertex").alias("v2"), F.col("sim").alias("s2"), F.col("component").alias("c2"), F.col("sketch").alias("k2"))
     close = F.abs(F.col("sim") - F.col("s2")) <= 1 - threshold + 1e-9
-    pairs = open_.join(other, (open_.bucket == other.bucket) & (F.col("component") != F.col("c2")) & (F.col("vertex") < F.col("v2")) & close)
+    # Registers agree with the similarity's chance: four deviations below the threshold nothing is linked but by a chance like that of missing every band.
+    least = math.floor(bands * rows * threshold - 4 * math.sqrt(bands * rows * threshold * (1 - threshold)))
+    alike = _agreeing("sketch", "k2", bands * rows) >= least
+    left = open_.withColumnRenamed("bucket", "b1")
+    pairs = left.join(other, (F.col("b1") == F.col("bucket")) & (F.col("component") != F.col("c2")) & (F.col("vertex") < F.col("v2")) & close & alike)
     fresh = stored(pairs.select(F.col("vertex").alias("a"), F.col("v2").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
     more = stored(near(similarities(fresh, texts, words=words)))
     if not more.isEmpty():
