@@ -173,20 +173,18 @@ def local_search(bins: list[list[int]], sizes: np.ndarray, capacity: int) -> lis
         victim = next((b for b in under if id(b) not in stuck), None)
         if victim is None or len(under) == 1:
             break
-        others = [b for b in under if b is not victim]
+        # Only fuller bins receive, so every exchange raises the sum of squared fills and the search ends.
+        at = next(k for k, b in enumerate(under) if b is victim)
+        lower, others = under[:at], under[at + 1:]
         slack = np.array([capacity - int(sizes[b].sum()) for b in others], np.int64)
         moved = False
         while victim and _exchange(victim, others, slack, sizes):
             moved = True
-        if moved:
-            stuck.clear()
-        stuck.add(id(victim))
-        under = [b for b in [victim, *others] if b]
+        stuck = {id(victim)} if moved else stuck | {id(victim)}
+        under = [b for b in [*lower, victim, *others] if b]
         full = [b for b in under if int(sizes[b].sum()) == capacity]
         done += full
         under = [b for b in under if not any(b is f for f in full)]
-        if moved and victim:
-            stuck = {id(victim)}
     return done + under
 
 
