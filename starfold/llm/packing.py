@@ -10,6 +10,7 @@ Defined results: a null or empty text is the closing id alone. Repeated rows are
 
 from __future__ import annotations
 
+import functools
 import zlib
 from collections import defaultdict
 
@@ -50,13 +51,19 @@ class CachedTokenizer:
         return [b"".join(map(get, ws)) for ws in split]
 
 
+@functools.lru_cache(maxsize=1)
+def worker_tokenizer(path: str) -> CachedTokenizer:
+    """One tokenizer, and one cache, for all tasks of a Python worker."""
+    return CachedTokenizer(path)
+
+
 def tokenized_pieces(docs: DataFrame, tokenizer: str, *, limit: int = 4096, text: str = "text", with_ids: bool = False) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32 for each piece of at most ``limit`` ids (and the ids themselves)."""
     closing = np.array([CLOSING_ID], "<u4").tobytes()
     id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def step(batches):
-        tok = CachedTokenizer(tokenizer)
+        tok = worker_tokenizer(tokenizer)
         for whole in batches:
             for at in range(0, whole.num_rows, 256):
                 batch = whole.slice(at, 256)
