@@ -86,21 +86,14 @@ def similarities(pairs: DataFrame, texts: DataFrame, *, words: int = 5) -> DataF
     right = texts.select(F.col("vertex").alias("b"), F.col("raw").alias("rb"))
     joined = pairs.join(left, "a").join(right, "b").select("a", "b", "ra", "rb")
 
-    def sets(raws: list[bytes]):
-        h, own = S.shingle_hashes(raws, words)
-        order = np.lexsort((h, own))
-        h, own = h[order], own[order]
-        at = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (own[1:] != own[:-1])))) if len(h) else np.zeros(0, np.int64)
-        weight = np.diff(np.concatenate((at, [len(h)]))).astype(float)
-        h, own = h[at], own[at]
-        cut = np.searchsorted(own, np.arange(len(raws) + 1))
-        return [(h[cut[k]:cut[k + 1]], weight[cut[k]:cut[k + 1]]) for k in range(len(raws))]
-
     def step(batches):
         for batch in batches:
-            for at in _slices([len(x) for x in batch.column(2).to_pylist()], 2 << 20, 2000):
-                part = batch.slice(*at)
-                sim = [S.probability_jaccard(x, y) for x, y in zip(sets(part.column(2).to_pylist()), sets(part.column(3).to_pylist()))]
+            ra, rb = batch.column(2).to_pylist(), batch.column(3).to_pylist()
+            for first, n in _slices([len(x) + len(y) for x, y in zip(ra, rb)], 4 << 20, 8000):
+                number: dict[bytes, int] = {}
+                a, b = (np.array([number.setdefault(x, len(number)) for x in side[first:first + n]], np.int64) for side in (ra, rb))
+                sim = S.probability_jaccards(list(number), a, b, words)
+                part = batch.slice(first, n)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sim, pa.float64())], ["a", "b", "sim"])
 
     return joined.mapInArrow(step, "a bigint, b bigint, sim double")

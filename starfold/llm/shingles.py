@@ -108,3 +108,44 @@ def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, n
     below = np.concatenate(([0.0], np.cumsum(x)))[upto] + only_x
     above = y.sum() - np.concatenate(([0.0], np.cumsum(y)))[upto] + only_y
     return float((1 / (below / x + above / y)).sum())
+
+
+def probability_jaccards(texts: list[bytes], a: np.ndarray, b: np.ndarray, words: int = 5) -> np.ndarray:
+    """Exact probability Jaccard of texts ``a[k]`` and ``b[k]`` for every pair k; each text is hashed once."""
+    h, own = shingle_hashes(texts, words)
+    if not len(h):
+        return np.zeros(len(a))
+    order = np.lexsort((h, own))
+    h, own = h[order], own[order]
+    at = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (own[1:] != own[:-1]))))
+    weight = np.diff(np.concatenate((at, [len(h)]))).astype(float)
+    own, element = own[at], np.unique(h[at], return_inverse=True)[1]
+    cut = np.searchsorted(own, np.arange(len(texts) + 1))
+    total = np.bincount(own, weights=weight, minlength=len(texts))
+    span = int(element.max()) + 1
+    key = own * span + element
+    sizes = np.diff(cut)
+    swap = sizes[a] > sizes[b]
+    a, b = np.where(swap, b, a), np.where(swap, a, b)
+    # Every element of the text with fewer of them is looked up in the other.
+    n = sizes[a]
+    pair = np.repeat(np.arange(len(a)), n)
+    left = np.arange(len(pair)) + np.repeat(cut[a] - (np.cumsum(n) - n), n)
+    want = b[pair] * span + element[left]
+    right = np.minimum(np.searchsorted(key, want), len(key) - 1)
+    hit = key[right] == want
+    pair, x, y = pair[hit], weight[left[hit]], weight[right[hit]]
+    if not len(pair):
+        return np.zeros(len(a))
+    ratio = y / x
+    order = np.lexsort((ratio, pair))
+    pair, x, y, ratio = pair[order], x[order], y[order], ratio[order]
+    ends = np.flatnonzero(np.concatenate(((pair[1:] != pair[:-1]) | (ratio[1:] != ratio[:-1]), [True]))) + 1
+    upto = np.repeat(ends, np.diff(np.concatenate(([0], ends))))
+    # Weights are counts, so running sums over all pairs are exact.
+    run_x, run_y = np.concatenate(([0.0], np.cumsum(x))), np.concatenate(([0.0], np.cumsum(y)))
+    edge = np.searchsorted(pair, np.arange(len(a) + 1))
+    lo, hi = edge[pair], edge[pair + 1]
+    below = run_x[upto] - run_x[lo] + total[a][pair] - (run_x[hi] - run_x[lo])
+    above = run_y[hi] - run_y[upto] + total[b][pair] - (run_y[hi] - run_y[lo])
+    return np.bincount(pair, weights=1 / (below / x + above / y), minlength=len(a))
