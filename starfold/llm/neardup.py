@@ -2,8 +2,8 @@
 
 Equal texts collapse first. Texts that share a band meet at a pivot of their bucket, the text in most company; pairs are verified by their
 exact probability Jaccard, and classes are the components of the verified links. Members of a bucket that are
-then still in different classes are compared as well, unless their similarities to the pivot or
-their signatures rule a link out. Pairs inside a class are never formed.
+then still in different classes are compared as well, unless their similarities to the pivot, the
+shingles that no other open text has, or their signatures rule a link out. Pairs inside a class are never formed.
 
 Defined results: null ids belong to no class and are left out of the links; texts without words are linked only
 to equal texts; a null text is a class of its own. An id that repeats with other text has one class.
@@ -99,6 +99,80 @@ def similarities(pairs: DataFrame, texts: DataFrame, *, words: int = 5) -> DataF
     return joined.mapInArrow(step, "a bigint, b bigint, sim double")
 
 
+def own_shingles(members: DataFrame, texts: DataFrame, *, words: int = 5, bytes_per_part: int = 4 << 20) -> DataFrame:
+    """For each of ``members`` (vertex): ``total`` weight of its shingles, ``excess`` of the weight over the number of
+    different ones, and ``lone`` weight and ``lone_kinds`` of those that no other member has.
+
+    Shingles travel packed, and one that several texts of a batch have travels once for the batch.
+    """
+    rows = members.join(texts, "vertex").select("vertex", "raw")
+    record = np.dtype([("hash", "<u8"), ("vertex", "<i8"), ("weight", "<i4"), ("kind", "<i4")])
+    parts = max(8, (rows.agg(F.sum(F.octet_length("raw"))).first()[0] or 0) // bytes_per_part)
+
+    def pack(batches):
+        for batch in batches:
+            for at in _slices([len(x) for x in batch.column(1).to_pylist()], 4 << 20, 30_000):
+                part = batch.slice(*at)
+                vertex = np.array(part.column(0).to_pylist(), np.int64)
+                h, own = S.shingle_hashes(part.column(1).to_pylist(), words)
+                element, owner, weight = S.weighted(h, own)
+                total, kinds = np.bincount(owner, weights=weight, minlength=len(vertex)), np.bincount(owner, minlength=len(vertex))
+                # A record of kind 1 is the sums of a text, one of kind 0 a shingle; vertex -1 says that several texts have it.
+                sums = np.zeros(len(vertex), record)
+                sums["hash"], sums["vertex"], sums["weight"], sums["kind"] = kinds, vertex, total, 1
+                order = np.argsort(element, kind="stable")
+                element, owner, weight = element[order], owner[order], weight[order]
+                first = np.flatnonzero(np.concatenate(([True], element[1:] != element[:-1])))[:len(element)]
+                alone = np.diff(np.concatenate((first, [len(element)]))) == 1
+                found = np.zeros(len(first), record)
+                found["hash"], found["vertex"], found["weight"] = element[first], np.where(alone, vertex[owner[first]], -1), weight[first]
+                home = np.concatenate((vertex % parts, (found["hash"] % np.uint64(parts)).astype(np.int64)))
+                both = np.concatenate((sums, found))
+                both = both[np.argsort(home, kind="stable")]
+                cut = np.concatenate(([0], np.cumsum(np.bincount(home, minlength=parts))))
+                full = np.flatnonzero(np.diff(cut))
+                yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([both[cut[k]:cut[k + 1]].tobytes() for k in full], pa.binary())], ["part", "data"])
+
+    def count(group: pa.Table) -> pa.Table:
+        data = np.frombuffer(b"".join(group.column("data").to_pylist()), record)
+        sums, found = data[data["kind"] == 1], data[data["kind"] == 0]
+        found = found[np.argsort(found["hash"], kind="stable")]
+        new = np.concatenate(([True], found["hash"][1:] != found["hash"][:-1]))[:len(found)]
+        last = np.concatenate((new[1:], [True]))[:len(found)]
+        lone = found[new & last & (found["vertex"] >= 0)]
+        who, at = np.unique(lone["vertex"], return_inverse=True)
+        zero = np.zeros(len(sums))
+        cols = [
+            np.concatenate((sums["vertex"], who)),
+            np.concatenate((sums["weight"], np.zeros(len(who)))),
+            np.concatenate((sums["weight"] - sums["hash"].astype(np.int64), np.zeros(len(who)))),
+            np.concatenate((zero, np.bincount(at, weights=lone["weight"], minlength=len(who)))),
+            np.concatenate((zero, np.bincount(at, minlength=len(who)))),
+        ]
+        return pa.table([pa.array(c.astype(np.int64)) for c in cols], ["vertex", "total", "excess", "lone", "lone_kinds"])
+
+    counted = rows.mapInArrow(pack, "part int, data binary").groupBy("part").applyInArrow(count, "vertex bigint, total bigint, excess bigint, lone bigint, lone_kinds bigint")
+    return counted.groupBy("vertex").agg(*(F.sum(c).alias(c) for c in ("total", "excess", "lone", "lone_kinds")))
+
+
+def most_similar(a: str, b: str):
+    """Upper bound of the probability Jaccard of two texts with the figures of ``own_shingles``, columns named with prefixes ``a`` and ``b``.
+
+    Let r and s be the shares of the weight of either text that the other does not have. Then the similarity is at
+    most 1 / (1/(1-r) + s/(1-s)), and the same with r and s changed over, for each term of the sum is a concave
+    function of degree one in the two shares of a shingle. Weight that no other text has is a part of r; so is all
+    that is left once as many shingles match as the other text has shared ones.
+    """
+    col = lambda p, c: F.col(f"{p}{c}").cast("double")
+
+    def unmatched(p, q):
+        matches = col(q, "total") - col(q, "excess") - col(q, "lone_kinds") + col(p, "excess")
+        return F.least(F.greatest(col(p, "lone") / col(p, "total"), 1 - matches / col(p, "total")), F.lit(1 - 1e-9))
+
+    r, s = unmatched(a, b), unmatched(b, a)
+    return F.least(1 / (1 / (1 - r) + s / (1 - s)), 1 / (r / (1 - r) + 1 / (1 - s)))
+
+
 def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, text: str = "text") -> DataFrame:
     """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``."""
     signed = stored(with_bands(docs, words=words, bands=bands, rows=rows, text=text))
@@ -131,14 +205,18 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     placed = stored(placed)
     mixed = placed.groupBy("bucket").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("bucket")
     open_ = stored(placed.join(mixed, "bucket").join(reps.select("vertex", "sketch"), "vertex"))
-    other = open_.select("bucket", F.col("vertex").alias("v2"), F.col("sim").alias("s2"), F.col("component").alias("c2"), F.col("sketch").alias("k2"))
-    close = F.abs(F.col("sim") - F.col("s2")) <= 1 - threshold + 1e-9
+    # A text whose shingles are too often its own cannot be linked; what it has in common with no text bounds the rest.
+    figures = stored(own_shingles(open_.select("vertex").distinct(), texts, words=words).where(F.col("lone") <= (1 - threshold + 1e-9) * F.col("total")))
+    open_ = stored(open_.join(figures, "vertex"))
+    mixed = open_.groupBy("bucket").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("bucket")
+    open_ = open_.join(mixed, "bucket", "left_semi")
+    left, right = (open_.select([F.col(c).alias(f"{side}{c}") for c in open_.columns]) for side in ("l_", "r_"))
+    close = F.abs(F.col("l_sim") - F.col("r_sim")) <= 1 - threshold + 1e-9
     # Registers agree with the similarity's chance: four deviations below the threshold nothing is linked but by a chance like that of missing every band.
     least = math.floor(bands * rows * threshold - 4 * math.sqrt(bands * rows * threshold * (1 - threshold)))
-    alike = _agreeing("sketch", "k2", bands * rows) >= least
-    left = open_.withColumnRenamed("bucket", "b1")
-    pairs = left.join(other, (F.col("b1") == F.col("bucket")) & (F.col("component") != F.col("c2")) & (F.col("vertex") < F.col("v2")) & close & alike)
-    fresh = stored(pairs.select(F.col("vertex").alias("a"), F.col("v2").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
+    alike = _agreeing("l_sketch", "r_sketch", bands * rows) >= least
+    pairs = left.join(right, (F.col("l_bucket") == F.col("r_bucket")) & (F.col("l_component") != F.col("r_component")) & (F.col("l_vertex") < F.col("r_vertex")) & close & (most_similar("l_", "r_") >= threshold - 1e-9) & alike)
+    fresh = stored(pairs.select(F.col("l_vertex").alias("a"), F.col("r_vertex").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
     more = stored(near(similarities(fresh, texts, words=words)))
     if not more.isEmpty():
         found = stored(connected_components(links.unionByName(more)).labels)
