@@ -173,6 +173,15 @@ def most_similar(a: str, b: str):
     return F.least(1 / (1 / (1 - r) + s / (1 - s)), 1 / (r / (1 - r) + 1 / (1 - s)))
 
 
+def _likely(rows: DataFrame, ids: DataFrame, most: int = 1 << 18) -> DataFrame:
+    """Rows whose vertex may be in ``ids``: a bitmap of 32 bits an id, at most ``most`` words of 64, is sent to all tasks, so that other texts stay where they lie."""
+    size = 1 << max(10, min(most.bit_length() - 1, (ids.count() // 2).bit_length()))
+    word = F.expr(f"xxhash64(vertex) & {size - 1}")
+    bit = F.expr("shiftleft(1L, cast(shiftrightunsigned(xxhash64(vertex), 40) & 63 as int))")
+    marks = ids.groupBy(word.alias("_word")).agg(F.bit_or(bit).alias("_bits"))
+    return rows.withColumns({"_word": word, "_bit": bit}).join(F.broadcast(marks), "_word").where("_bits & _bit <> 0").select(*rows.columns)
+
+
 def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, text: str = "text") -> DataFrame:
     """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``."""
     signed = stored(with_bands(docs, words=words, bands=bands, rows=rows, text=text))
@@ -188,10 +197,10 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     pivots = members.groupBy("bucket").agg(F.max_by("vertex", F.struct("weight", -F.col("vertex"))).alias("pivot"))
     met = members.join(pivots, "bucket").where("vertex <> pivot")
     tried = stored(met.select(F.least("vertex", "pivot").alias("a"), F.greatest("vertex", "pivot").alias("b")).distinct())
-    needed = members.select("vertex").distinct()
+    needed = stored(members.select("vertex").distinct())
     # One row for each representative text that any pair can need: whole texts travel once.
     raws = docs.select(F.col("doc_id").alias("vertex"), F.col(text).cast("binary").alias("raw")).where("raw is not null and vertex is not null")
-    texts = stored(raws.join(needed, "vertex", "left_semi"))
+    texts = stored(_likely(raws, needed).join(needed, "vertex", "left_semi"))
     if signed.select("doc_id").count() != signed.select("doc_id").distinct().count():
         texts = stored(texts.groupBy("vertex").agg(F.min("raw").alias("raw")))
     tested = stored(similarities(tried, texts, words=words))
@@ -204,7 +213,7 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     placed = placed.join(found, "vertex", "left").select("bucket", "vertex", "sim", F.coalesce("component", "vertex").alias("component"))
     placed = stored(placed)
     mixed = placed.groupBy("bucket").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("bucket")
-    open_ = stored(placed.join(mixed, "bucket").join(reps.select("vertex", "sketch"), "vertex"))
+    open_ = stored(placed.join(mixed, "bucket").join(reps.select("vertex", "sketch", "bands"), "vertex"))
     # A text whose shingles are too often its own cannot be linked; what it has in common with no text bounds the rest.
     figures = stored(own_shingles(open_.select("vertex").distinct(), texts, words=words).where(F.col("lone") <= (1 - threshold + 1e-9) * F.col("total")))
     open_ = stored(open_.join(figures, "vertex"))
@@ -215,7 +224,9 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     # Registers agree with the similarity's chance: four deviations below the threshold nothing is linked but by a chance like that of missing every band.
     least = math.floor(bands * rows * threshold - 4 * math.sqrt(bands * rows * threshold * (1 - threshold)))
     alike = _agreeing("l_sketch", "r_sketch", bands * rows) >= least
-    pairs = left.join(right, (F.col("l_bucket") == F.col("r_bucket")) & (F.col("l_component") != F.col("r_component")) & (F.col("l_vertex") < F.col("r_vertex")) & close & (most_similar("l_", "r_") >= threshold - 1e-9) & alike)
+    # A pair of several buckets is formed in the first; if one of the two is the pivot there, the pair has been tested.
+    first = F.array_intersect("l_bands", "r_bands")[0] == F.col("l_bucket")
+    pairs = left.join(right, (F.col("l_bucket") == F.col("r_bucket")) & (F.col("l_component") != F.col("r_component")) & (F.col("l_vertex") < F.col("r_vertex")) & close & (most_similar("l_", "r_") >= threshold - 1e-9) & alike & first)
     fresh = stored(pairs.select(F.col("l_vertex").alias("a"), F.col("r_vertex").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
     more = stored(near(similarities(fresh, texts, words=words)))
     if not more.isEmpty():
