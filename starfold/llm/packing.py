@@ -11,6 +11,8 @@ Defined results: a null or empty text is the closing id alone. Repeated rows are
 from __future__ import annotations
 
 import functools
+import re
+import struct
 import zlib
 from collections import defaultdict
 
@@ -26,28 +28,38 @@ CLOSING_ID = 1
 class CachedTokenizer:
     """Token ids of a text as little-endian bytes, from a cache of its chunks.
 
-    For a vocabulary that splits at white space and drops it, the ids of a text are those of the chunks between
-    ASCII white space. The cache is emptied when ``limit`` chunks are in it, so its memory is bounded
-    (about 0.3 GB at the default).
+    For a vocabulary that lower-cases, drops white space and splits between letters or digits and signs, the ids of
+    a text are those of its lower-cased chunks, cut at ASCII white space and before the signs that end a word. A
+    text that may hold an added token, which is matched before all that, is cut at white space alone. The cache is
+    emptied when ``limit`` chunks are in it, so its memory is bounded (about 0.3 GB at the default).
     """
 
+    #: ASCII signs between an ASCII letter or digit and white space or the end.
+    LAST_SIGNS = re.compile(rb"([!-/:-@\[-`{-~](?<=[a-z0-9].)[!-/:-@\[-`{-~]*)(?=\s|$)")
+
     def __init__(self, path: str, limit: int = 1_500_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.cache: dict[bytes, bytes] = {}
         self.limit = limit
+        self.added = [t.content.encode() for t in self.tok.get_added_tokens_decoder().values()]
+
+    def chunks(self, text: bytes) -> list[bytes]:
+        low = text.lower()
+        return text.split() if any(t in low for t in self.added) else self.LAST_SIGNS.sub(rb" \1", low).split()
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
-        split = [t.split() for t in texts]
+        split = [self.chunks(t) for t in texts]
         if len(self.cache) > self.limit:
             self.cache.clear()
         cache = self.cache
-        missing = list({w for ws in split for w in ws if w not in cache})
+        missing = list(set().union(*split).difference(cache))
         for at in range(0, len(missing), 20_000):
             part = missing[at:at + 20_000]
             for w, e in zip(part, self.tok.encode_batch_fast([w.decode("utf-8", "replace") for w in part], add_special_tokens=False)):
-                cache[w] = np.array(e.ids, "<u4").tobytes()
+                ids = e.ids
+                cache[w] = struct.pack(f"<{len(ids)}I", *ids)
         get = cache.__getitem__
         return [b"".join(map(get, ws)) for ws in split]
 
