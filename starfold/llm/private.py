@@ -5,8 +5,10 @@ numbers, quoted secrets - are permuted within their own format: digits stay digi
 case, a card keeps a right check digit, a date a real date. The same value gives the same pseudonym in every
 document, so links survive. Values that fail validation are left as they are.
 
-Defined results: a null text stays null with a count of 0; texts without a digit or an at-sign pass unread by the
-patterns; repeated rows get the same text.
+Defined results: a null text stays null with a count of 0; texts without a digit, an at-sign or the key word of a
+secret cannot match and pass unread by the patterns; repeated rows get the same text. A date that is valid with the
+day first is read so, else with the month first. The country code of a telephone number stays, so that one number
+has one pseudonym in every spelling.
 """
 
 from __future__ import annotations
@@ -17,14 +19,24 @@ from pyspark.sql import functions as F
 ROUNDS = 8
 #: The patterns of the formats.
 MAIL = r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)+"
-SECRET = r"(?i:token|secret|api_?key|password)\s{0,3}[=:]\s{0,3}[\"'][0-9A-Za-z_-]{16,128}[\"']"
+SECRET_KEY = r"(?i:token|secret|api_?key|password)\s{0,3}[=:]"
+SECRET = SECRET_KEY + r"\s{0,3}[\"'][0-9A-Za-z_-]{16,128}[\"']"
 ADDRESS = r"(?<![0-9.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?![0-9]|\.[0-9])"
 DATE_YMD = r"(?<![0-9-])[0-9]{4}[-/][0-9]{2}[-/][0-9]{2}(?![0-9-])"
-DATE_DMY = r"(?<![0-9./])[0-9]{2}[./][0-9]{2}[./][0-9]{4}(?![0-9])"
+DATE_DMY = r"(?<![0-9./-])[0-9]{2}[./-][0-9]{2}[./-][0-9]{4}(?![0-9])"
 SOCIAL = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
-CARD = r"(?<![0-9])(?:[0-9]{4}(?:[ -][0-9]{4}){3}|[0-9]{13,19})(?![0-9])"
+CARD_FORMS = r"[0-9]{4}(?:[ -][0-9]{4}){3}|[0-9]{4}[ -][0-9]{6}[ -][0-9]{4,5}|[0-9]{13,19}"
+CARD = rf"(?<![0-9])(?:{CARD_FORMS})(?![0-9])"
 PHONE = r"(?:\+[0-9]{1,3}[ .-]?)?(?:\([0-9]{2,4}\)|(?<![0-9])[0-9]{2,4})[ .-]?[0-9]{3,4}[.-][0-9]{3,4}(?![0-9])"
-ANY = "|".join((MAIL, SECRET, ADDRESS, DATE_YMD, DATE_DMY, SOCIAL, CARD, PHONE))
+#: With a country code in any grouping; with the area in brackets; in three groups between blanks.
+PHONE_CODE = r"(?<![\p{L}0-9+])\+[1-9][0-9]{0,2}(?:[ .-]?\([0-9]{1,4}\))?(?:[ .-]?[0-9]){6,12}(?![0-9])"
+PHONE_AREA = r"\([0-9]{2,4}\)[ .-]?[0-9]{3,4}[ .-]?[0-9]{3,4}(?![0-9])"
+PHONE_BLANKS = r"(?<![0-9])(?<![0-9][ .,-])(?:[2-9][0-9]{2} [2-9][0-9]{2} [0-9]{4}|0[0-9]{2,4} [0-9]{3,4} [0-9]{3,4})(?![0-9]|[ .,-][0-9])"
+#: Country codes, so that where the code ends does not depend on the spelling.
+CODE = r"^(\+(?:1|7|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|[0-9]{1,3})[ .-]?)"
+ANY = "|".join((MAIL, SECRET, ADDRESS, DATE_YMD, DATE_DMY, SOCIAL, CARD, PHONE_CODE, PHONE, PHONE_AREA, PHONE_BLANKS))
+#: Every text that a pattern matches has one of these.
+SOME = f"[0-9@]|{SECRET_KEY}"
 DIGITS, LOWER, UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Days from 1900-01-01 to 2099-12-31, and the two factors of the domain that is walked.
 DAYS, FACTOR_A, FACTOR_B = 73049, 271, 270
@@ -98,15 +110,20 @@ def _luhn_sum(digits: Column, double_last: bool) -> Column:
     return F.aggregate(F.transform(F.sequence(F.lit(1), n), one), F.lit(0), lambda a, x: a + x)
 
 
-def _new_date(y: Column, m: Column, d: Column, key: str) -> Column:
+def _new_date(y: Column, m: Column, d: Column, key: str, late: bool = False) -> Column:
+    """Another date; where ``late``, a day after the twelfth gives one after the twelfth, so that its month stays told from its day."""
+    def inside(x: Column) -> Column:
+        fits = x < DAYS
+        return fits & (F.dayofmonth(F.date_add(F.lit("1900-01-01").cast("date"), x.cast("int"))) > 12) if late else fits
+
     day = F.date_diff(F.make_date(y, m, d), F.lit("1900-01-01").cast("date"))
 
     def walk(v: Column, _k: Column) -> Column:
         moved = _let(_number_turns(F.floor(v["v"] / FACTOR_B), v["v"] % FACTOR_B, key, "date", FACTOR_A, FACTOR_B), lambda s: s["l"] * FACTOR_B + s["r"])
-        return F.when(v["done"], v).otherwise(_let(moved, lambda x: F.struct(x.alias("v"), (x < DAYS).alias("done"))))
+        return F.when(v["done"], v).otherwise(_let(moved, lambda x: F.struct(x.alias("v"), inside(x).alias("done"))))
 
     start = F.struct(day.cast("bigint").alias("v"), F.lit(False).alias("done"))
-    out = F.aggregate(F.sequence(F.lit(1), F.lit(12)), start, walk, lambda v: F.when(v["done"], v["v"]).otherwise(day))
+    out = F.aggregate(F.sequence(F.lit(1), F.lit(60 if late else 12)), start, walk, lambda v: F.when(v["done"], v["v"]).otherwise(day))
     return F.date_add(F.lit("1900-01-01").cast("date"), out.cast("int"))
 
 
@@ -140,12 +157,15 @@ def pseudonym(m: Column, key: str) -> Column:
     day_first = _valid_date(part(7, 4), part(4, 2), part(1, 2))
     dmy = _let(_new_date(part(7, 4), part(4, 2), part(1, 2), key), lambda d: F.concat(F.date_format(d, "dd"), F.substring(m, 3, 1), F.date_format(d, "MM"), F.substring(m, 6, 1), F.date_format(d, "yyyy")))
 
+    month_first = _valid_date(part(7, 4), part(1, 2), part(4, 2))
+    mdy = _let(_new_date(part(7, 4), part(1, 2), part(4, 2), key, late=True), lambda d: F.concat(F.date_format(d, "MM"), F.substring(m, 3, 1), F.date_format(d, "dd"), F.substring(m, 6, 1), F.date_format(d, "yyyy")))
+
     digits = F.regexp_replace(m, "[^0-9]", "")
     payload = lambda x: F.substring(x, F.lit(1), F.length(x) - 1)
     card = _let(_let(permuted(payload(digits), key, "card", (DIGITS,)), lambda p: F.concat(p, F.pmod(10 - F.pmod(_luhn_sum(p, True), F.lit(10)), F.lit(10)).cast("string"))), lambda x: _refill(m, x))
     good_card = _luhn_sum(digits, False) % 10 == 0
 
-    prefix = F.regexp_extract(m, r"^(\+[0-9]{1,3}[ .-]?)", 1)
+    prefix = F.regexp_extract(m, CODE, 1)
     rest = F.substring(m, F.length(prefix) + 1, F.length(m))
     phone = F.concat(prefix, _let(permuted(F.regexp_replace(rest, "[^0-9]", ""), key, "phone", (DIGITS,)), lambda x: _refill(rest, x)))
     social = _let(permuted(digits, key, "social", (DIGITS,)), lambda x: _refill(m, x))
@@ -155,9 +175,9 @@ def pseudonym(m: Column, key: str) -> Column:
         .when(m.rlike("[\"']$"), secret)
         .when(whole(r"(?:[0-9]{1,3}\.){3}[0-9]{1,3}"), F.when(good_ip, ip).otherwise(m))
         .when(whole("[0-9]{4}[-/][0-9]{2}[-/][0-9]{2}"), F.when(iso, ymd).otherwise(m))
-        .when(whole("[0-9]{2}[./][0-9]{2}[./][0-9]{4}"), F.when(day_first, dmy).otherwise(m))
+        .when(whole("[0-9]{2}[./-][0-9]{2}[./-][0-9]{4}"), F.when(day_first, dmy).when(month_first, mdy).otherwise(m))
         .when(whole("[0-9]{3}-[0-9]{2}-[0-9]{4}"), social)
-        .when(whole("[0-9]{4}(?:[ -][0-9]{4}){3}|[0-9]{13,19}"), F.when(good_card, card).otherwise(m))
+        .when(whole(CARD_FORMS), F.when(good_card, card).otherwise(m))
         .otherwise(phone)
     )
 
@@ -166,7 +186,7 @@ def pseudonymize(docs: DataFrame, *, key: str, text: str = "text", count: str |
     """``docs`` with private values of ``text`` replaced, and their number in ``count``."""
     names = [c for c in docs.columns if c != count]
     t = F.col(text)
-    some = t.rlike("[0-9@]")
+    some = t.rlike(SOME)
     found = docs.select(*names, F.when(some, F.regexp_extract_all(t, F.lit(ANY), F.lit(0))).alias("_m"))
     fresh = found.withColumn("_f", F.when(F.size("_m") > 0, F.transform("_m", lambda m: pseudonym(m, key))))
     pieces = F.split(t, ANY, -1)

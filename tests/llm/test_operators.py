@@ -191,3 +191,19 @@ def test_licenses(docs, spark):
     df = spark.createDataFrame([(1, "x\nReleased under the MIT License.\ny"), (2, "Licensed under CC BY-NC 4.0."), (3, "an unrelated licensed plumber came by on tuesday"), (4, None)], "doc_id long, text string")
     got = {r.doc_id: (r.line, r.license, r.exact) for r in licenses.scan(df).collect()}
     assert got == {1: (1, "MIT", True), 2: (0, "CC-BY-NC-4.0", True), 3: (0, "unknown", False)}
+
+
+def test_pseudonyms_of_secrets_without_digits_and_other_spellings(spark):
+    secret = 'password = "correct-horse-battery-staple"'
+    spelt = ["+44 20 7946 0958", "(212) 555 0199", "+12125550199", "212 555 0199", "020 7946 0958", "3782 822463 10005", "3782-822463-10005", "12/31/2024", "31-12-2024"]
+    rows = [(0, f"no number, {secret}"), (1, f"in 7 words, {secret}"), (2, "+1 (212) 555-0199"), (3, "13/31/2024"), (4, "3782 822463 10006")] + [(10 + k, s) for k, s in enumerate(spelt)]
+    out = {r.doc_id: r for r in private.pseudonymize(spark.createDataFrame(rows, "doc_id long, text string"), key="k").collect()}
+    hidden = out[0].text.removeprefix("no number, ")
+    assert hidden != secret and out[1].text.endswith(hidden) and re.fullmatch(r'password = "[a-z]{7}-[a-z]{5}-[a-z]{7}-[a-z]{6}"', hidden)
+    for k, s in enumerate(spelt):
+        assert out[10 + k].n_private == 1 and out[10 + k].text != s
+        assert re.sub("[0-9]", "0", out[10 + k].text) == re.sub("[0-9]", "0", s)
+    digits = lambda k: re.sub("[^0-9]", "", out[k].text)
+    assert digits(2) == digits(12) == "1" + digits(11) == "1" + digits(13) and digits(15) == digits(16)
+    month, day, _ = out[17].text.split("/")
+    assert 1 <= int(month) <= 12 < int(day) and out[3].n_private == out[4].n_private == 0
