@@ -207,3 +207,24 @@ def test_pseudonyms_of_secrets_without_digits_and_other_spellings(spark):
     assert digits(2) == digits(12) == "1" + digits(11) == "1" + digits(13) and digits(15) == digits(16)
     month, day, _ = out[17].text.split("/")
     assert 1 <= int(month) <= 12 < int(day) and out[3].n_private == out[4].n_private == 0
+
+
+def test_licenses_whole_wordings(spark):
+    full = licenses.full_templates()
+    mit = "MIT License\n\nCopyright (c) 2020 A. Holder\n\n" + full["MIT"][0]
+    rows = {
+        1: f"prose about rivers\n\n{mit}", 2: mit.replace("publish, distribute", "publish, never distribute"), 3: mit.replace("sublicense", "keep"),
+        4: "\n".join(mit.split("\n")[:-4]), 5: "\n".join(" * " + x for x in mit.split("\n")), 6: full["GPL-3.0"][0], 7: full["GPL-2.0"][0].replace("6. Each time", "6. No time"),
+        8: full["Apache-2.0"][0], 9: "Some words come before.\nReleased under the MIT License.\nand some words come after.", 10: full["BSD-3-Clause"][0], 11: full["MPL-2.0"][0],
+        13: full["MPL-2.0"][0].replace("desirable", "wished"),
+        12: "Released under the MIT License.\nprose\nLicensed under CC BY 4.0.\n\nSPDX-License-Identifier: MIT",
+    }
+    got = {}
+    for r in licenses.scan(spark.createDataFrame(list(rows.items()), "doc_id long, text string")).collect():
+        got.setdefault(r.doc_id, []).append((r.license, r.exact))
+    wrong = [[("MIT", False)]] * 3
+    assert got[13] == [("MPL-2.0", False)]
+    assert got[12] == [("MIT", True), ("CC-BY-4.0", True), ("MIT", True)]
+    assert got[1] == got[5] == [("MIT", True)] and [got[2], got[3], got[4]] == wrong
+    assert got[6] == [("GPL-3.0", True)] and got[7] == [("GPL-2.0", False)] and got[8] == [("Apache-2.0", True)]
+    assert got[9] == [("MIT", True)] and got[10] == [("BSD-3-Clause", True)] and got[11] == [("MPL-2.0", True)]
