@@ -126,7 +126,7 @@ def compare(edges: DataFrame, names: list[str] | None = None) -> list[dict]:
         out.append({
             "method": name, "steps": r.n_steps, "passes": r.passes, "work": sum(x["edges_in"] or 0 for x in r.metrics),
             "dup_factor": peak / m2 if m2 else 0.0, "seconds": sum(x["elapsed_ms"] for x in r.metrics) / 1000,
-            "components": r.labels.select("component").distinct().count(),
+            "components": r.whole().select("component").distinct().count(),
         })
     return out
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import time
 
 from pyspark.sql import DataFrame
@@ -16,13 +17,13 @@ def _row(k: int, edges: int | None, lowered: int, began: float) -> dict:
     return {"step": k, "edges_in": edges, "edges_out": edges, "lowered": lowered, "mismatched": lowered, "active": lowered, "elapsed_ms": (time.monotonic() - began) * 1000}
 
 
-def min_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int = 500) -> ComponentResult:
-    """Each vertex takes the least label among its neighbours, one hop a round, until nothing changes."""
+def min_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int | None = None) -> ComponentResult:
+    """Each vertex takes the least label among its neighbours, one hop a round, until nothing changes or for ``max_steps``."""
     both = materialize(twins(normalize_edges(edges)))
     size = both.count()
     labels = materialize(both.select(F.col("src").alias("vertex")).distinct().select("vertex", F.col("vertex").alias("component")))
     metrics, converged = [], False
-    for k in range(1, max_steps + 1):
+    for k in itertools.count(1) if max_steps is None else range(1, max_steps + 1):
         began = time.monotonic()
         met = both.join(labels, both.dst == labels.vertex).groupBy("src").agg(F.min("component").alias("near"))
         nxt = labels.join(met, labels.vertex == met.src, "left").select("vertex", F.least("component", "near").alias("component"), (F.col("near") < F.col("component")).alias("fell"))
@@ -36,11 +37,11 @@ def min_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps:
     return ComponentResult(add_isolated(labels, vertices), metrics, None, converged)
 
 
-def duplicating_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int = 200, max_edges: int = 50_000_000) -> ComponentResult:
-    """Adds (u, l(v)) and keeps every old edge, so that the edge count grows. Stops at ``max_edges``, not converged."""
+def duplicating_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int | None = None, max_edges: int | None = None) -> ComponentResult:
+    """Adds (u, l(v)) and keeps every old edge, so that the edge count grows. Stops at a given ``max_steps`` or ``max_edges``, not converged."""
     both = materialize(twins(normalize_edges(edges)))
     size, metrics, converged = both.count(), [], False
-    for k in range(1, max_steps + 1):
+    for k in itertools.count(1) if max_steps is None else range(1, max_steps + 1):
         began = time.monotonic()
         least = both.groupBy("src").agg(F.min("dst").alias("m")).select("src", F.least("src", "m").alias("m"))
         made = both.join(least, "src").where("dst <> m").select(F.explode(F.array(F.struct(F.col("dst").alias("src"), F.col("m").alias("dst")), F.struct(F.col("m").alias("src"), F.col("dst").alias("dst")))).alias("e")).select("e.*")
@@ -51,7 +52,7 @@ def duplicating_flood(edges: DataFrame, *, vertices: DataFrame | None = None, ma
         if same:
             converged = True
             break
-        if now > max_edges:
+        if max_edges is not None and now > max_edges:
             break
     labels = both.groupBy("src").agg(F.min("dst").alias("m")).select(F.col("src").alias("vertex"), F.least("src", "m").alias("component"))
     return ComponentResult(add_isolated(labels, vertices), metrics, both, converged)

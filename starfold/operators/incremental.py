@@ -15,7 +15,7 @@ def merge_edges(labels: DataFrame, new_edges: DataFrame) -> DataFrame:
     la = labels.select(F.col("vertex").alias("a"), F.col("component").alias("ca"))
     lb = labels.select(F.col("vertex").alias("b"), F.col("component").alias("cb"))
     moved = e.join(la, "a", "left").join(lb, "b", "left").select("a", "b", F.coalesce("ca", "a").alias("x"), F.coalesce("cb", "b").alias("y"))
-    small = connected_components(moved.select(F.col("x").alias("a"), F.col("y").alias("b"))).labels
+    small = connected_components(moved.select(F.col("x").alias("a"), F.col("y").alias("b"))).whole()
     fresh = moved.select(F.explode(F.array(F.struct(F.col("a").alias("vertex"), F.col("x").alias("component")), F.struct(F.col("b").alias("vertex"), F.col("y").alias("component")))).alias("v")).select("v.*").distinct().join(labels.select("vertex"), "vertex", "left_anti")
     names = small.select(F.col("vertex").alias("component"), F.col("component").alias("to"))
     return labels.unionByName(fresh).join(names, "component", "left").select("vertex", F.coalesce("to", "component").alias("component"))

@@ -33,6 +33,12 @@ class ComponentResult:
     def n_steps(self) -> int:
         return len(self.metrics)
 
+    def whole(self) -> DataFrame:
+        """The labels; a cut run has none that are right and raises."""
+        if not self.converged:
+            raise RuntimeError(f"not converged after {self.n_steps} steps")
+        return self.labels
+
     @property
     def passes(self) -> int:
         return self.n_steps * self.passes_per_step

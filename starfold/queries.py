@@ -78,7 +78,7 @@ SQL = {
 
 
 def _labels(name, method):
-    return lambda spark, d: method(B[name](spark, d)).labels
+    return lambda spark, d: method(B[name](spark, d)).whole()
 
 
 QUERIES: dict = {}
@@ -109,8 +109,8 @@ for _m, _f in (
 ):
     _add(_m, _labels("rare_return_orders", _f), SQL["rare_return_orders"])
 
-_add("seq_path_labels", lambda s, d: alternating.connected_components(graphs.seq_path(s, 10)).labels, "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(1024)")
-_add("bridged_grid_labels", lambda s, d: alternating.connected_components(graphs.bridged_grid(s, 64, 6)).labels, "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(385)")
+_add("seq_path_labels", lambda s, d: alternating.connected_components(graphs.seq_path(s, 10)).whole(), "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(1024)")
+_add("bridged_grid_labels", lambda s, d: alternating.connected_components(graphs.bridged_grid(s, 64, 6)).whole(), "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(385)")
 
 
 def _step_counts(spark, graphs_by_size):
@@ -145,7 +145,7 @@ _add("model_costs", lambda s, d: measures.model_costs(s, B["rare_return_parts"](
 
 
 def _over(name, fn):
-    return lambda s, d: fn(alternating.connected_components(B[name](s, d)).labels)
+    return lambda s, d: fn(alternating.connected_components(B[name](s, d)).whole())
 
 
 _CO = SQL["rare_return_orders"]
@@ -155,19 +155,19 @@ _add("largest_components", _over("rare_return_orders", lambda x: measures.larges
 
 
 def _rollup(s, d):
-    labels = alternating.connected_components(tables.doc_exact(s, d)).labels
+    labels = alternating.connected_components(tables.doc_exact(s, d)).whole()
     docs = measures.attach_components(tables.table(s, d, "documents", ["doc_id", "lang", "source"]), "doc_id", labels)
     return docs.rollup("lang", "source").agg(F.count("*").alias("n"), F.count_distinct("component").alias("components"))
 
 
 _add("component_rollup", _rollup, "WITH x AS (SELECT lang, source, MIN(doc_id) OVER (PARTITION BY text) AS c FROM documents) SELECT lang, source, COUNT(*) AS n, COUNT(DISTINCT c) AS components FROM x GROUP BY ROLLUP (lang, source)")
-_add("attach_components", lambda s, d: measures.attach_components(tables.table(s, d, "documents", ["doc_id"]), "doc_id", alternating.connected_components(tables.doc_exact(s, d)).labels), "SELECT doc_id, MIN(doc_id) OVER (PARTITION BY text) AS component FROM documents")
-_add("isolated_vertices", lambda s, d: alternating.connected_components(tables.doc_exact(s, d), vertices=tables.table(s, d, "documents", ["doc_id"]).select(F.col("doc_id").alias("vertex"))).labels, "SELECT doc_id AS vertex, MIN(doc_id) OVER (PARTITION BY text) AS component FROM documents")
+_add("attach_components", lambda s, d: measures.attach_components(tables.table(s, d, "documents", ["doc_id"]), "doc_id", alternating.connected_components(tables.doc_exact(s, d)).whole()), "SELECT doc_id, MIN(doc_id) OVER (PARTITION BY text) AS component FROM documents")
+_add("isolated_vertices", lambda s, d: alternating.connected_components(tables.doc_exact(s, d), vertices=tables.table(s, d, "documents", ["doc_id"]).select(F.col("doc_id").alias("vertex"))).whole(), "SELECT doc_id AS vertex, MIN(doc_id) OVER (PARTITION BY text) AS component FROM documents")
 
 
 def _incremental(s, d):
     e = B["rare_return_orders"](s, d)
-    old = alternating.connected_components(e.where("a % 4 = 0")).labels
+    old = alternating.connected_components(e.where("a % 4 = 0")).whole()
     return incremental.merge_edges(old, e.where("a % 4 <> 0"))
 
 

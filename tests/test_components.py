@@ -1,3 +1,5 @@
+import inspect
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -83,3 +85,16 @@ def test_hot_step_has_one_exchange_and_no_python(spark):
     state = G.twins(G.seq_path(spark, 4)).select("src", "dst", F.lit(1).cast("long").alias("mult"), F.lit(0).cast("long").alias("label"))
     plan = A._step("compact", 0, 4)(state.repartition(4))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "CartesianProduct" not in plan
+
+
+def test_flood_queries_have_no_cut_and_a_cut_run_raises(spark):
+    from starfold import queries
+
+    e = G.from_pairs(spark, SMALL)
+    for method, cut in ((B.min_flood, {"max_steps": 1}), (B.duplicating_flood, {"max_edges": 5})):
+        assert {p.default for n, p in inspect.signature(method).parameters.items() if n.startswith("max_")} == {None}
+        with pytest.MonkeyPatch.context() as m:
+            m.setitem(queries.B, "small", lambda s, d: e)
+            assert {r.vertex: r.component for r in queries._labels("small", method)(spark, "").collect()} == B.union_find(e)
+            with pytest.raises(RuntimeError, match="not converged"):
+                queries._labels("small", lambda x, f=method, c=cut: f(x, **c))(spark, "")
