@@ -17,8 +17,12 @@ from pyspark.sql import functions as F
 
 from starfold.llm.shared import stored
 
-#: Least spread of each feature, in its own unit.
-FLOORS = {"f_len": 1.0, "f_word": 0.25, "f_symbol": 0.03, "f_lines": 0.08, "f_repeat": 0.08}
+#: Least spread of each feature, in its own unit. Length and word length only have a numerical guard. The
+#: other three are zero in most clean texts, so that half of them has no spread at all; there one event (a symbol in 250
+#: characters, a repeated line, a repeated window in 200 words) is about two spreads and no outlier by itself.
+FLOORS = {"f_len": 0.05, "f_word": 0.02, "f_symbol": 0.03, "f_lines": 0.08, "f_repeat": 0.08}
+#: Median of the sum of so many squared normal coordinates, and the 0.999 quantile of five.
+MEDIANS, CUTOFF = (0.0, 0.455, 1.386, 2.366, 3.357, 4.351), 20.515
 FEATURES = list(FLOORS)
 SPACE = " \t\n\x0b\x0c\r"
 
@@ -143,12 +147,12 @@ def _estimates(points: DataFrame, steps: int) -> DataFrame:
 
 def judge(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", groups: tuple[str, ...] = ("lang", "source"),
-    min_words: int = 50, min_group: int = 40, steps: int = 3, cutoff: float = 80.0,
+    min_words: int = 50, min_group: int = 40, steps: int = 3, cutoff: float = CUTOFF,
 ) -> DataFrame:
     """doc_id, the base statistics, base_failed, distance2 (scaled) and kept for every row of ``docs``.
 
-    ``cutoff`` bounds the squared distance after it is scaled so that the median equals that of five normal
-    coordinates; 80 lies far beyond their 1 - 1e-9 quantile, so that only gross outliers are rejected.
+    ``cutoff`` bounds the squared distance after it is scaled so that the median equals that of normal coordinates,
+    as many as vary above their floors; that makes up for the scatter being that of the central half.
     """
     name = F.concat_ws("\x1f", *[F.coalesce(F.col(g).cast("string"), F.lit("\x00")) for g in groups if g in docs.columns])
     rows = with_statistics(docs.select(F.col(id_col).alias("doc_id"), F.col(text).alias("text"), name.alias("grp"))).drop("text")
@@ -162,7 +166,9 @@ def judge(
     lacking = points.groupBy("grp").agg(F.lit("*").alias("all")).join(own.select("grp"), "grp", "left_anti")
     general = lacking.join(whole.withColumnRenamed("grp", "all"), "all").select("grp", *model_cols)
     both = rows.join(own.select("grp", *model_cols).unionByName(general), "grp", "left")
-    scaled = F.col("d2") / F.greatest(F.col("half") / 4.351, F.lit(1.0))
+    free = sum(((F.col(f"l_{i}_{i}") > FLOORS[c] * 1.000001).cast("int") for i, c in enumerate(FEATURES)), F.lit(0))
+    median = F.element_at(F.array(*[F.lit(m) for m in MEDIANS]), free + 1)
+    scaled = F.col("d2") / F.when(median > 0, F.greatest(F.col("half") / median, F.lit(1.0))).otherwise(1.0)
     both = _with_distance(both).withColumn("distance2", scaled)
     verdict = ~F.col("base_failed") & F.coalesce(F.col("distance2") <= cutoff, F.lit(True))
     return both.select(

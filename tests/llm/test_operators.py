@@ -228,3 +228,14 @@ def test_licenses_whole_wordings(spark):
     assert got[1] == got[5] == [("MIT", True)] and [got[2], got[3], got[4]] == wrong
     assert got[6] == [("GPL-3.0", True)] and got[7] == [("GPL-2.0", False)] and got[8] == [("Apache-2.0", True)]
     assert got[9] == [("MIT", True)] and got[10] == [("BSD-3-Clause", True)] and got[11] == [("MPL-2.0", True)]
+
+
+def test_quality_rejects_planted_outliers(spark):
+    make = lambda n, i: " ".join(f"{w}{k}" for k, w in enumerate(np.random.default_rng(i).choice(VOCAB, n)))
+    size = np.exp(np.random.default_rng(0).normal(5.3, 0.25, 300)).astype(int).clip(60)
+    rows = [(i, make(int(n), i)) for i, n in enumerate(size)]
+    again = make(20, 900)
+    rows += [(900, f"{make(120, 901)} {again} {make(9, 902)} {again}"), (901, make(200, 903) + " #$% &*|" * 20), (902, make(20000, 904)), (903, make(52, 905))]
+    got = {r.doc_id: r for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert not any(got[k].base_failed or got[k].kept for k in (900, 901, 902, 903))
+    assert np.mean([got[k].kept for k in range(300)]) > 0.97
