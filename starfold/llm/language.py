@@ -110,14 +110,12 @@ def windows(texts: list[bytes], window: int, span: int) -> tuple[np.ndarray, np.
 
 
 def sample(rows: DataFrame, label: str, bound: int, seed: str = "fit") -> DataFrame:
-    """About ``bound`` labelled rows at most, equal shares for each label, chosen by a hash of the id."""
-    counts = {r[0]: r[1] for r in rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(256).collect()}
-    share = bound / max(1, len(counts))
-    rate = F.create_map(*[x for v, n in counts.items() for x in (F.lit(v), F.lit(min(1.0, share / n)))]) if counts else None
-    if rate is None:
-        return rows.limit(0)
+    """About ``bound`` labelled rows, equal shares for each label and one row of each at least, chosen by a hash of the id."""
     draw = F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
-    return rows.where(draw < F.element_at(rate, F.col(label)))
+    counts = rows.groupBy(label).agg(F.count("*").alias("_n"), F.min(draw).alias("_first"))
+    share = bound / max(1, counts.count())
+    rates = counts.select(label, (F.lit(share) / F.col("_n")).alias("_rate"), "_first")
+    return rows.join(rates, label).where((draw < F.col("_rate")) | (draw == F.col("_first"))).select(*rows.columns)
 
 
 def fit(labelled: DataFrame, *, bound: int = 3000, piece: int = 1024, window: int = 256, epochs: int = 6) -> ByteNet | None:

@@ -239,3 +239,9 @@ def test_quality_rejects_planted_outliers(spark):
     got = {r.doc_id: r for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert not any(got[k].base_failed or got[k].kept for k in (900, 901, 902, 903))
     assert np.mean([got[k].kept for k in range(300)]) > 0.97
+
+
+def test_language_sample_holds_every_label(spark):
+    rows = spark.range(1800).selectExpr("id as doc_id", "concat('l', id % 300) as lang")
+    for bound in (100, 600):
+        assert language.sample(rows, "lang", bound).select("lang").distinct().count() == 300
