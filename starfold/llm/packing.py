@@ -10,6 +10,7 @@ Defined results: a null or empty text is the closing id alone. Repeated rows are
 
 from __future__ import annotations
 
+import bisect
 import functools
 import re
 import struct
@@ -31,18 +32,19 @@ class CachedTokenizer:
     For a vocabulary that lower-cases, drops white space and splits between letters or digits and signs, the ids of
     a text are those of its lower-cased chunks, cut at ASCII white space and before the signs that end a word. A
     text that may hold an added token, which is matched before all that, is cut at white space alone. The cache is
-    emptied when ``limit`` chunks are in it, so its memory is bounded (about 0.3 GB at the default).
+    emptied when ``limit`` chunks are in it and holds none of more than ``longest`` bytes, so its memory is bounded
+    (about 0.3 GB at the default).
     """
 
     #: ASCII signs between an ASCII letter or digit and white space or the end.
     LAST_SIGNS = re.compile(rb"([!-/:-@\[-`{-~](?<=[a-z0-9].)[!-/:-@\[-`{-~]*)(?=\s|$)")
 
-    def __init__(self, path: str, limit: int = 1_500_000):
+    def __init__(self, path: str, limit: int = 1_500_000, longest: int = 96):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.cache: dict[bytes, bytes] = {}
-        self.limit = limit
+        self.limit, self.longest = limit, longest
         self.added = [t.content.encode() for t in self.tok.get_added_tokens_decoder().values()]
 
     def chunks(self, text: bytes) -> list[bytes]:
@@ -54,14 +56,18 @@ class CachedTokenizer:
         if len(self.cache) > self.limit:
             self.cache.clear()
         cache = self.cache
-        missing = list(set().union(*split).difference(cache))
-        for at in range(0, len(missing), 20_000):
-            part = missing[at:at + 20_000]
+        new = set().union(*split).difference(cache)
+        long = [w for w in new if len(w) > self.longest]
+        missing = list(new.difference(long))
+        for part in [*([w] for w in long), *(missing[at:at + 20_000] for at in range(0, len(missing), 20_000))]:
             for w, e in zip(part, self.tok.encode_batch_fast([w.decode("utf-8", "replace") for w in part], add_special_tokens=False)):
                 ids = e.ids
                 cache[w] = struct.pack(f"<{len(ids)}I", *ids)
         get = cache.__getitem__
-        return [b"".join(map(get, ws)) for ws in split]
+        out = [b"".join(map(get, ws)) for ws in split]
+        for w in long:
+            del cache[w]
+        return out
 
 
 @functools.lru_cache(maxsize=1)
@@ -126,86 +132,156 @@ def best_fit(sizes: np.ndarray, capacity: int) -> list[list[int]]:
     return bins
 
 
-def _exchange(victim: list[int], others: list[list[int]], slack: np.ndarray, sizes: np.ndarray) -> bool:
-    """One exchange that moves fill from ``victim`` to another bin; False where there is none."""
-    flat = np.array([i for b in others for i in b], np.int64)
-    owner = np.repeat(np.arange(len(others)), [len(b) for b in others])
-    ys = sizes[flat]
-    for x in sorted(victim, key=lambda i: -sizes[i]):
-        size = sizes[x]
-        fits = np.flatnonzero(slack >= size)
-        if len(fits):
-            c = fits[np.argmin(slack[fits])]
-            victim.remove(x)
-            others[c].append(x)
-            slack[c] -= size
-            return True
-    for x in sorted(victim, key=lambda i: -sizes[i]):
-        size = sizes[x]
-        gain = size - ys
-        good = np.flatnonzero((gain > 0) & (gain <= slack[owner]))
-        if len(good):
-            k = good[np.argmax(gain[good])]
-            c, y = owner[k], int(flat[k])
-            victim.remove(x)
-            others[c].remove(y)
-            victim.append(y)
-            others[c].append(x)
-            slack[c] -= gain[k]
+class Search:
+    """Swap-based local search over the underfull bins of one group.
+
+    Bins are taken as victims in rising order of fill. A victim gives fill to fuller bins, which raises the sum of
+    squared fills: a move, one piece for one, or one for two. For every piece size the bins that hold it are kept in
+    order of their free places, so the widest exchange of one piece for one is a look at one array; sums of two
+    sizes are bits of an integer, kept for each amount of free places. A victim is worked on until it is empty or no
+    exchange is left, once a pass; each exchange takes a place from it at least, so a pass makes ``capacity``
+    exchanges a bin at most. The search ends at the volume bound, when a pass finds no exchange, or after ``idle``
+    passes that emptied no bin.
+    """
+
+    def __init__(self, bins: list[list[int]], sizes: np.ndarray, capacity: int, idle: int = 8):
+        self.size = sizes.tolist()
+        self.bins = bins
+        self.idle = idle
+        self.free = [capacity - sum(self.size[i] for i in b) for b in bins]
+        self.pairs: list[int | None] = [None] * len(bins)
+        self.bound = -(-int(sizes.sum()) // capacity)
+        self.span = capacity + 1
+        self.place = np.arange(self.span)
+
+    def _open(self, order: list[int]) -> None:
+        """Index the bins that may receive."""
+        self.rooms: list[tuple[int, int]] = []
+        self.holders: dict[int, list[tuple[int, int]]] = defaultdict(list)
+        self.reach = np.full(self.span, -1, np.int64)  # size + most free places of a bin that holds it
+        self.at: dict[int, set[int]] = defaultdict(set)
+        self.sums: dict[int, int] = {}
+        for b in order:
+            self._enter(b)
+
+    def _enter(self, b: int) -> None:
+        room = self.free[b]
+        if room:
+            bisect.insort(self.rooms, (room, b))
+            self.at[room].add(b)
+            self.sums.pop(room, None)
+            for y in {self.size[i] for i in self.bins[b]}:
+                held = self.holders[y]
+                bisect.insort(held, (room, b))
+                self.reach[y] = y + held[-1][0]
+
+    def _leave(self, b: int) -> None:
+        room = self.free[b]
+        if room:
+            del self.rooms[bisect.bisect_left(self.rooms, (room, b))]
+            self.at[room].discard(b)
+            self.sums.pop(room, None)
+            if not self.at[room]:
+                del self.at[room]
+            for y in {self.size[i] for i in self.bins[b]}:
+                held = self.holders[y]
+                del held[bisect.bisect_left(held, (room, b))]
+                self.reach[y] = y + held[-1][0] if held else -1
+
+    def _pair_sums(self, b: int) -> int:
+        if self.pairs[b] is None:
+            once = out = 0
+            for i in self.bins[b]:
+                out |= once << self.size[i]
+                once |= 1 << self.size[i]
+            self.pairs[b] = out
+        return self.pairs[b]
+
+    def _trade(self, victim: int, give: int, other: int, take: list[int]) -> None:
+        self._leave(other)
+        self.bins[victim].remove(give)
+        for i in take:
+            self.bins[other].remove(i)
+        self.bins[victim] += take
+        self.bins[other].append(give)
+        gain = self.size[give] - sum(self.size[i] for i in take)
+        self.free[victim] += gain
+        self.free[other] -= gain
+        self.pairs[victim] = self.pairs[other] = None
+        self._enter(other)
+
+    def _exchange(self, victim: int) -> bool:
+        """One exchange that takes fill from ``victim``; False where there is none."""
+        if not self.rooms:
+            return False
+        mine: dict[int, int] = {}
+        for i in self.bins[victim]:
+            mine.setdefault(self.size[i], i)
+        order = sorted(mine.items(), reverse=True)
+        for s, i in order:
+            k = bisect.bisect_left(self.rooms, (s, -1))
+            if k < len(self.rooms):
+                self._trade(victim, i, self.rooms[k][1], [])
+                return True
+        best = (0, 0, 0)
+        for s, i in order:
+            if s > best[0]:
+                y = int((self.reach[1:s] >= s).argmax()) + 1 if s > 1 else 0
+                if y and self.reach[y] >= s and s - y > best[0]:
+                    best = (s - y, i, y)
+        if best[0]:
+            _, i, y = best
+            other = self.holders[y][-1][1]
+            self._trade(victim, i, other, [next(j for j in self.bins[other] if self.size[j] == y)])
             return True
-    for x in sorted(victim, key=lambda i: -sizes[i]):
-        size = sizes[x]
-        for c in np.flatnonzero(slack > 0):
-            by_size: dict[int, list[int]] = defaultdict(list)
-            for i in others[c]:
-                if sizes[i] < size:
-                    by_size[int(sizes[i])].append(i)
-            values = sorted(by_size)
-            best = None
-            for p, u in enumerate(values):
-                for v in values[p:]:
-                    gain = size - u - v
-                    if gain <= 0:
+        for s, i in order:
+            for room in sorted(self.at, reverse=True):
+                if room not in self.sums:
+                    held = 0
+                    for b in self.at[room]:
+                        held |= self._pair_sums(b)
+                    self.sums[room] = held
+                low = max(2, s - room)
+                fit = self.sums[room] >> low
+                y = low + (fit & -fit).bit_length() - 1
+                if fit and y < s:
+                    other = min(b for b in self.at[room] if self._pair_sums(b) >> y & 1)
+                    self._trade(victim, i, other, self._two(other, y))
+                    return True
+        return False
+
+    def _two(self, b: int, total: int) -> list[int]:
+        seen: dict[int, int] = {}
+        for i in self.bins[b]:
+            if total - self.size[i] in seen:
+                return [seen[total - self.size[i]], i]
+            seen.setdefault(self.size[i], i)
+        raise LookupError(total)
+
+    def run(self) -> list[list[int]]:
+        count, idle = len(self.bins), 0
+        while count > self.bound and idle < self.idle:
+            order = sorted((b for b in range(len(self.bins)) if self.bins[b] and self.free[b]), key=lambda b: (-self.free[b], b))
+            self._open(order)
+            before, moved = count, False
+            for victim in order:
+                # Only bins that come later in the order, which are fuller, receive.
+                self._leave(victim)
+                while self.bins[victim] and self._exchange(victim):
+                    moved = True
+                if not self.bins[victim]:
+                    count -= 1
+                    if count <= self.bound:
                         break
-                    if gain <= slack[c] and (u != v or len(by_size[u]) > 1) and (best is None or gain > best[0]):
-                        best = (gain, u, v)
-            if best:
-                gain, u, v = best
-                a = by_size[u].pop()
-                b = by_size[v].pop()
-                victim.remove(x)
-                others[c] = [i for i in others[c] if i not in (a, b)] + [x]
-                victim += [a, b]
-                slack[c] -= gain
-                return True
-    return False
+            if not moved:
+                break
+            idle = 0 if count < before else idle + 1
+        return [b for b in self.bins if b]
 
 
 def local_search(bins: list[list[int]], sizes: np.ndarray, capacity: int) -> list[list[int]]:
-    """Empty the least filled bins by exchanges that raise the sum of squared fills; ends at the volume bound or when no exchange is left."""
-    total = int(sizes.sum())
-    bound = -(-total // capacity)
-    done = [b for b in bins if int(sizes[b].sum()) == capacity]
-    under = [b for b in bins if int(sizes[b].sum()) < capacity]
-    stuck: set[int] = set()
-    while len(done) + len(under) > bound:
-        under.sort(key=lambda b: int(sizes[b].sum()))
-        victim = next((b for b in under if id(b) not in stuck), None)
-        if victim is None or len(under) == 1:
-            break
-        # Only fuller bins receive, so every exchange raises the sum of squared fills and the search ends.
-        at = next(k for k, b in enumerate(under) if b is victim)
-        lower, others = under[:at], under[at + 1:]
-        slack = np.array([capacity - int(sizes[b].sum()) for b in others], np.int64)
-        moved = False
-        while victim and _exchange(victim, others, slack, sizes):
-            moved = True
-        stuck = {id(victim)} if moved else stuck | {id(victim)}
-        under = [b for b in [*lower, victim, *others] if b]
-        full = [b for b in under if int(sizes[b].sum()) == capacity]
-        done += full
-        under = [b for b in under if not any(b is f for f in full)]
-    return done + under
+    """Bins with as many emptied by exchanges as ``Search`` can."""
+    return Search(bins, sizes, capacity).run()
 
 
 def pack(pieces: DataFrame, *, capacity: int = 4096, group_size: int = 16384, expected: int | None = None) -> DataFrame:
@@ -229,7 +305,8 @@ def pack(pieces: DataFrame, *, capacity: int = 4096, group_size: int = 16384, ex
         return pdf[[*names, "sequence_id", "offset"]]
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema)
-    return dealt.groupBy("_group").applyInPandas(solve, f"{schema}, sequence_id bigint, offset bigint")
+    # A count given by hand is not folded by the adaptive planner, which would put many groups in one task.
+    return dealt.repartition(groups, "_group").groupBy("_group").applyInPandas(solve, f"{schema}, sequence_id bigint, offset bigint")
 
 
 def pack_documents(docs: DataFrame, tokenizer: str, *, capacity: int = 4096, group_size: int = 16384) -> DataFrame:
