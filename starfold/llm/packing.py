@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import bisect
 import functools
+import heapq
 import re
 import struct
 import zlib
@@ -159,6 +160,7 @@ class Search:
         self.rooms: list[tuple[int, int]] = []
         self.holders: dict[int, list[tuple[int, int]]] = defaultdict(list)
         self.reach = np.full(self.span, -1, np.int64)  # size + most free places of a bin that holds it
+        self.order: list[tuple[int, int]] = []
         self.at: dict[int, set[int]] = defaultdict(set)
         self.sums: dict[int, int] = {}
         for b in order:
@@ -209,6 +211,7 @@ class Search:
         self.free[other] -= gain
         self.pairs[victim] = self.pairs[other] = None
         self._enter(other)
+        heapq.heappush(self.order, (-self.free[other], other))
 
     def _exchange(self, victim: int) -> bool:
         """One exchange that takes fill from ``victim``; False where there is none."""
@@ -261,11 +264,17 @@ class Search:
     def run(self) -> list[list[int]]:
         count, idle = len(self.bins), 0
         while count > self.bound and idle < self.idle:
-            order = sorted((b for b in range(len(self.bins)) if self.bins[b] and self.free[b]), key=lambda b: (-self.free[b], b))
-            self._open(order)
+            left = {b for b in range(len(self.bins)) if self.bins[b] and self.free[b]}
+            self._open(sorted(left))
+            self.order = [(-self.free[b], b) for b in left]
+            heapq.heapify(self.order)
             before, moved = count, False
-            for victim in order:
-                # Only bins that come later in the order, which are fuller, receive.
+            while self.order:
+                room, victim = heapq.heappop(self.order)
+                if victim not in left or -room != self.free[victim]:
+                    continue
+                # Only bins that have not been victims in this pass, which are no less full, receive.
+                left.remove(victim)
                 self._leave(victim)
                 while self.bins[victim] and self._exchange(victim):
                     moved = True

@@ -65,7 +65,7 @@ def test_search_against_every_packing(seed):
 
 def test_every_exchange_raises_the_squared_fills():
     rng = np.random.default_rng(1)
-    sizes = rng.integers(150, 340, 300)
+    sizes = rng.integers(150, 440, 300)
     search = packing.Search(packing.best_fit(sizes, 1000), sizes, 1000)
     trade, seen = search._trade, []
 
