@@ -32,10 +32,10 @@ LOWER = [(i, j) for i in range(N) for j in range(i + 1)]
 SPACE = " \t\n\x0b\x0c\r"
 #: Key of the estimates of all documents; the key of a group starts with another sign.
 ALL = "*"
-#: Most rows of estimates (of about 250 bytes) that are sent to all tasks; more are met by a salted join.
+#: Most rows of estimates (of about 250 bytes, three a group) that are sent to all tasks; more are met by a salted join.
 MOST_SENT, SALTS = 50_000, 16
 #: A determinant that falls by less, in its logarithm, is at rest.
-REST = 1e-3
+REST = 1e-2
 
 
 def with_statistics(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -123,26 +123,27 @@ def _factor(moments: DataFrame, keep: list[str]) -> DataFrame:
     return df.select(*keep, *[f"m_{c}" for c in FEATURES], *[f"l_{i}_{j}" for i, j in LOWER], logdet.alias("logdet"))
 
 
-def _meet(rows: DataFrame, small: DataFrame, key: str = "grp", how: str = "inner") -> DataFrame:
-    """``rows`` with the row of ``small`` of their key: by broadcast up to ``MOST_SENT`` rows, else by a join of which a hot key is dealt over ``SALTS`` tasks."""
-    if small.count() <= MOST_SENT:
+def _meet(rows: DataFrame, small: DataFrame, sent: bool, key: str = "grp", how: str = "inner") -> DataFrame:
+    """``rows`` with the row of ``small`` of their key: by broadcast if it is ``sent``, else by a join of which a hot key is dealt over ``SALTS`` tasks."""
+    if sent:
         return rows.join(F.broadcast(small), key, how)
     dealt = rows.withColumn("_salt", F.pmod(F.xxhash64(*FEATURES), F.lit(SALTS)))
     copies = small.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
     return dealt.join(copies, [key, "_salt"], how).drop("_salt")
 
 
-def _starts(points: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(grp, n) of all groups, and the first estimates (grp, start, m_*, l_*_*, logdet) from medians, squashed coordinates and spatial signs."""
+def _starts(points: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
+    """(grp, n) of all groups, the first estimates (grp, start, m_*, l_*_*, logdet) from medians, squashed coordinates and spatial signs, and whether these are few enough to be sent."""
     middle = stored(points.groupBy("grp").agg(
         F.count("*").alias("n"), *[F.percentile_approx(c, F.lit(0.5), F.lit(1000)).alias(f"m_{c}") for c in FEATURES],
     ))
-    spread = _meet(points, middle).groupBy("grp").agg(
+    sent = 3 * middle.count() <= MOST_SENT
+    spread = _meet(points, middle, sent).groupBy("grp").agg(
         *[F.first(f"m_{c}").alias(f"m_{c}") for c in FEATURES],
         *[F.percentile_approx(F.abs(F.col(c) - F.col(f"m_{c}")), F.lit(0.5), F.lit(1000)).alias(f"s_{c}") for c in FEATURES],
     )
     scale = stored(spread.select("grp", *[f"m_{c}" for c in FEATURES], *[F.sqrt(F.pow(F.col(f"s_{c}") * 1.4826, 2) + FLOORS[c] ** 2).alias(f"s_{c}") for c in FEATURES]))
-    near = _meet(points, scale)
+    near = _meet(points, scale, sent)
     z = [(F.col(c) - F.col(f"m_{c}")) / F.col(f"s_{c}") for c in FEATURES]
     near = near.select("grp", *[x.alias(f"z_{i}") for i, x in enumerate(z)])
     size = F.sqrt(sum((F.pow(f"z_{i}", 2) for i in range(1, N)), F.pow("z_0", 2)))
@@ -162,15 +163,15 @@ def _starts(points: DataFrame) -> tuple[DataFrame, DataFrame]:
     sizes = stored(middle.select("grp", "n"))
     for t in (middle, scale):
         discard(t)
-    return sizes, models
+    return sizes, models, sent
 
 
-def _concentrate(points: DataFrame, models: DataFrame) -> DataFrame:
+def _concentrate(points: DataFrame, models: DataFrame, sent: bool) -> DataFrame:
     """One concentration step of every (grp, start); ``fall`` is what the logarithm of its determinant lost."""
     cols = [c for c in models.columns if c != "fall"]
-    half = _with_distance(_meet(points, models.select(*cols))).groupBy("grp", "start").agg(F.percentile_approx("d2", F.lit(0.5), F.lit(1000)).alias("half"))
+    half = _with_distance(_meet(points, models.select(*cols), sent)).groupBy("grp", "start").agg(F.percentile_approx("d2", F.lit(0.5), F.lit(1000)).alias("half"))
     bounded = stored(models.select(*cols).join(half, ["grp", "start"]))
-    inner = _with_distance(_meet(points, bounded)).where("d2 <= half")
+    inner = _with_distance(_meet(points, bounded, sent)).where("d2 <= half")
     moments = inner.groupBy("grp", "start").agg(
         F.first("logdet").alias("before"), *[F.avg(c).alias(f"m_{c}") for c in FEATURES],
         *[F.covar_pop(FEATURES[i], FEATURES[j]).alias(f"c_{i}_{j}") for i, j in LOWER],
@@ -180,11 +181,11 @@ def _concentrate(points: DataFrame, models: DataFrame) -> DataFrame:
     return out
 
 
-def estimates(points: DataFrame, *, max_steps: int = 100) -> DataFrame:
-    """For each grp of ``points`` (grp, features): n, location m_*, factor l_*_* of the scatter of its central half, and the median distance ``half``."""
-    sizes, models = _starts(points)
+def estimates(points: DataFrame, *, max_steps: int = 100) -> tuple[DataFrame, bool]:
+    """For each grp of ``points`` (grp, features): n, location m_*, factor l_*_* of the scatter of its central half, and the median distance ``half``; and whether the table may be sent to all tasks."""
+    sizes, models, sent = _starts(points)
     for _ in range(2):
-        models, was = _concentrate(points, models), models
+        models, was = _concentrate(points, models, sent), models
         discard(was)
     best = [c for c in models.columns if c != "grp"]
     chosen = models.groupBy("grp").agg(F.min_by(F.struct(*best), F.struct("logdet", "start")).alias("b")).select("grp", "b.*")
@@ -196,15 +197,15 @@ def estimates(points: DataFrame, *, max_steps: int = 100) -> DataFrame:
         settled.append(models.where(F.col("fall") <= REST))
         if going.isEmpty():
             break
-        models = _concentrate(points, going)
+        models = _concentrate(points, going, sent)
     else:
         settled.append(models)
     final = settled[0]
     for part in settled[1:]:
         final = final.unionByName(part)
     final = stored(final.drop("start", "logdet", "fall"))
-    half = _with_distance(_meet(points, final)).groupBy("grp").agg(F.percentile_approx("d2", F.lit(0.5), F.lit(1000)).alias("half"))
-    return stored(final.join(half, "grp").join(sizes, "grp"))
+    half = _with_distance(_meet(points, final, sent)).groupBy("grp").agg(F.percentile_approx("d2", F.lit(0.5), F.lit(1000)).alias("half"))
+    return stored(final.join(half, "grp").join(sizes, "grp")), sent
 
 
 def _judged(docs: DataFrame, id_col: str, text: str, groups: tuple[str, ...], min_words: int, min_group: int, cutoff: float, carry: bool) -> DataFrame:
@@ -214,12 +215,12 @@ def _judged(docs: DataFrame, id_col: str, text: str, groups: tuple[str, ...], mi
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     rows = stored(with_statistics(narrow).drop("text").withColumn("base_failed", failed).withColumns(_features()))
     points = rows.where("not base_failed").select(F.explode(F.array("grp", F.lit(ALL))).alias("grp"), *FEATURES)
-    found = estimates(points)
+    found, sent = estimates(points)
     # A group that is too small takes the estimates of all documents; only these small tables meet here.
     key = F.when(F.col("n") >= min_group, F.col("grp")).otherwise(F.lit(ALL))
     named = found.where(F.col("grp") != ALL).select("grp", key.alias("from"))
     model = stored(named.join(found.where(F.col("n") >= min_group).drop("n").withColumnRenamed("grp", "from"), "from").drop("from"))
-    both = _meet(rows, model, how="left")
+    both = _meet(rows, model, sent, how="left")
     free = sum(((F.col(f"l_{i}_{i}") > FLOORS[c] * 2**0.5).cast("int") for i, c in enumerate(FEATURES)), F.lit(0))
     median = F.element_at(F.array(*[F.lit(m) for m in MEDIANS]), free + 1)
     scaled = F.col("d2") / F.when(median > 0, F.greatest(F.col("half") / median, F.lit(1.0))).otherwise(1.0)
