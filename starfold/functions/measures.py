@@ -74,7 +74,7 @@ def label_gap(trace: DataFrame) -> DataFrame:
 def label_retention(edges: DataFrame, max_steps: int = 200, dedupe: str = "none") -> DataFrame:
     """For every (vertex, label) pair that appears as an edge: first and last step of the unfiltered form."""
     out = paired.connected_components(edges, dedupe=dedupe, max_steps=max_steps, trace=True)
-    parts = [h.where("kept").select(F.lit(i).alias("step"), "src", "dst").where("dst < src").distinct() for i, h in enumerate(out.history)]
+    parts = [h.select(F.lit(i).alias("step"), "src", "dst").where("dst < src").distinct() for i, h in enumerate(out.history)]
     whole = parts[0]
     for p in parts[1:]:
         whole = whole.unionByName(p)

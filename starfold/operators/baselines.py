@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from starfold.operators.alternating import add_isolated
-from starfold.plans.loop import ComponentResult, materialize
+from starfold.plans.loop import ComponentResult, discard, materialize, tidy
 from starfold.sources.graphs import normalize_edges, twins, vertices_of
 
 
@@ -17,26 +17,29 @@ def _row(k: int, edges: int | None, lowered: int, began: float) -> dict:
     return {"step": k, "edges_in": edges, "edges_out": edges, "lowered": lowered, "mismatched": lowered, "active": lowered, "elapsed_ms": (time.monotonic() - began) * 1000}
 
 
+@tidy
 def min_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int | None = None) -> ComponentResult:
     """Each vertex takes the least label among its neighbours, one hop a round, until nothing changes or for ``max_steps``."""
     both = materialize(twins(normalize_edges(edges)))
     size = both.count()
-    labels = materialize(both.select(F.col("src").alias("vertex")).distinct().select("vertex", F.col("vertex").alias("component")))
+    labels = table = materialize(both.select(F.col("src").alias("vertex")).distinct().select("vertex", F.col("vertex").alias("component")))
     metrics, converged = [], False
     for k in itertools.count(1) if max_steps is None else range(1, max_steps + 1):
         began = time.monotonic()
         met = both.join(labels, both.dst == labels.vertex).groupBy("src").agg(F.min("component").alias("near"))
         nxt = labels.join(met, labels.vertex == met.src, "left").select("vertex", F.least("component", "near").alias("component"), (F.col("near") < F.col("component")).alias("fell"))
-        nxt = materialize(nxt)
-        fell = nxt.where("fell").count()
-        labels = nxt.select("vertex", "component")
+        nxt = materialize(nxt, [F.count_if("fell").alias("fell")])
+        fell = nxt.measured["fell"]
+        discard(table)
+        table, labels = nxt, nxt.select("vertex", "component")
         metrics.append(_row(k, size, fell, began))
         if fell == 0:
             converged = True
             break
-    return ComponentResult(add_isolated(labels, vertices), metrics, None, converged)
+    return ComponentResult(add_isolated(labels, vertices), metrics, None, converged, keep=[table])
 
 
+@tidy
 def duplicating_flood(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int | None = None, max_edges: int | None = None) -> ComponentResult:
     """Adds (u, l(v)) and keeps every old edge, so that the edge count grows. Stops at a given ``max_steps`` or ``max_edges``, not converged."""
     both = materialize(twins(normalize_edges(edges)))
@@ -45,9 +48,10 @@ def duplicating_flood(edges: DataFrame, *, vertices: DataFrame | None = None, ma
         began = time.monotonic()
         least = both.groupBy("src").agg(F.min("dst").alias("m")).select("src", F.least("src", "m").alias("m"))
         made = both.join(least, "src").where("dst <> m").select(F.explode(F.array(F.struct(F.col("dst").alias("src"), F.col("m").alias("dst")), F.struct(F.col("m").alias("src"), F.col("dst").alias("dst")))).alias("e")).select("e.*")
-        grown = materialize(both.union(made).distinct())
-        now = grown.count()
+        grown = materialize(both.union(made).distinct(), [F.count("*").alias("n")])
+        now = grown.measured["n"]
         metrics.append(_row(k, size, now - size, began) | {"edges_out": now})
+        discard(both)
         same, both, size = now == size, grown, now
         if same:
             converged = True
@@ -55,9 +59,10 @@ def duplicating_flood(edges: DataFrame, *, vertices: DataFrame | None = None, ma
         if max_edges is not None and now > max_edges:
             break
     labels = both.groupBy("src").agg(F.min("dst").alias("m")).select(F.col("src").alias("vertex"), F.least("src", "m").alias("component"))
-    return ComponentResult(add_isolated(labels, vertices), metrics, both, converged)
+    return ComponentResult(add_isolated(labels, vertices), metrics, both, converged, keep=[both])
 
 
+@tidy
 def hook_and_compress(edges: DataFrame, *, vertices: DataFrame | None = None, full_compress: bool = False, combine: str = "partial", salts: int = 8, max_steps: int = 200) -> ComponentResult:
     """Hook the larger parent under the least parent met, then replace parents by grandparents."""
     e = materialize(normalize_edges(edges))
@@ -86,15 +91,18 @@ def hook_and_compress(edges: DataFrame, *, vertices: DataFrame | None = None, fu
             if not moved:
                 break
         changed = hooked.where("p <> was").count()
-        parent = hooked.select("vertex", "p")
+        discard(parent)
+        parent = materialize(hooked.select("vertex", "p"))
+        discard(jumped)
         metrics.append(_row(k, size, changed, began))
         if changed == 0:
             converged = True
             break
     labels = parent.select("vertex", F.col("p").alias("component"))
-    return ComponentResult(add_isolated(labels, vertices), metrics, None, converged)
+    return ComponentResult(add_isolated(labels, vertices), metrics, None, converged, keep=[parent])
 
 
+@tidy
 def coin_flip_contraction(edges: DataFrame, *, vertices: DataFrame | None = None, seed: int = 1, max_steps: int = 200, sort: bool = False) -> ComponentResult:
     """Seeded leader contraction: a follower joins its least leader neighbour; renamed loops and repeats vanish."""
     live = materialize(normalize_edges(edges))
@@ -119,7 +127,7 @@ def coin_flip_contraction(edges: DataFrame, *, vertices: DataFrame | None = None
         size = left
     least = names.groupBy("c").agg(F.min("vertex").alias("component"))
     labels = names.join(least, "c").select("vertex", "component")
-    return ComponentResult(add_isolated(labels, vertices), metrics, None, size == 0, 2 if sort else 1)
+    return ComponentResult(add_isolated(labels, vertices), metrics, None, size == 0, 2 if sort else 1, keep=[names])
 
 
 def sort_random_contraction(edges: DataFrame, *, vertices: DataFrame | None = None, seed: int = 1) -> ComponentResult:
@@ -127,6 +135,7 @@ def sort_random_contraction(edges: DataFrame, *, vertices: DataFrame | None = No
     return coin_flip_contraction(edges, vertices=vertices, seed=seed, sort=True)
 
 
+@tidy
 def two_star_rounds(edges: DataFrame, *, vertices: DataFrame | None = None, max_steps: int = 200) -> ComponentResult:
     """Alternate two re-attachments: larger neighbours to the closed minimum, then smaller ones to the least of them."""
     e = materialize(normalize_edges(edges))
@@ -150,7 +159,7 @@ def two_star_rounds(edges: DataFrame, *, vertices: DataFrame | None = None, max_
     stars = e.select(F.col("b").alias("vertex"), F.col("a").alias("component"))
     labels = stars.unionByName(e.select(F.col("a").alias("vertex"), F.col("a").alias("component")).distinct())
     labels = labels.groupBy("vertex").agg(F.min("component").alias("component"))
-    return ComponentResult(add_isolated(labels, vertices), metrics, e, converged, 2)
+    return ComponentResult(add_isolated(labels, vertices), metrics, e, converged, 2, keep=[e])
 
 
 def union_find(edges: DataFrame, limit: int = 2_000_000) -> dict[int, int]:

@@ -6,32 +6,27 @@ and hands the minimum to its other neighbours, while local minima stay silent.
 
 from __future__ import annotations
 
+import time
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from starfold.operators.alternating import add_isolated
-from starfold.plans.loop import ComponentResult, iterate, materialize
+from starfold.plans.loop import ComponentResult, discard, materialize, tidy
 from starfold.sources.graphs import normalize_edges, twins
 
 MODES = ("none", "within_step", "two_level")
+MARKED = "src bigint, dst bigint, is_old boolean"
 
 
-def _with_minimum(edges: DataFrame, how: str) -> DataFrame:
-    if how == "sort":
-        ordered = edges.repartitionByRange("src").sortWithinPartitions("src", "dst")
-        per = Window.partitionBy("src").orderBy("dst")
-        first = F.first_value("dst").over(per)
-        rank = F.row_number().over(per)
-        return ordered.select("src", "dst", F.least("src", first).alias("m"), (rank == 1).alias("lead"))
+def emit(edges: DataFrame, bag: bool = False) -> DataFrame:
+    """Marked edges of one step: (src, dst, is_old). Only propagating edges are marked old. ``bag`` says that edges may repeat."""
     per = Window.partitionBy("src")
     least = edges.select("src", "dst", F.least("src", F.min("dst").over(per)).alias("m"))
-    rank = F.row_number().over(Window.partitionBy("src").orderBy("dst"))
-    return least.select("src", "dst", "m", (rank == 1).alias("lead"))
-
-
-def emit(edges: DataFrame, how: str = "group") -> DataFrame:
-    """Marked edges of one step: (src, dst, is_old). Only propagating edges are marked old."""
-    rows = _with_minimum(edges, how).where("m <> src")
+    lead = F.row_number().over(per.orderBy("dst")) == 1 if bag else F.lit(True)
+    rows = least.select("src", "dst", "m", lead.alias("lead")).where("m <> src")
     pair = lambda a, b, old: F.struct(F.col(a).alias("src"), F.col(b).alias("dst"), F.lit(old).alias("is_old"))
     out = (
         F.when((F.col("dst") == F.col("m")) & F.col("lead"), F.array(pair("src", "m", False), pair("m", "src", False)))
@@ -41,6 +36,45 @@ def emit(edges: DataFrame, how: str = "group") -> DataFrame:
     return rows.select(F.explode(out).alias("e")).select("e.*")
 
 
+def _columns(batch) -> list[np.ndarray]:
+    return [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+
+
+def scan_sources(batches):
+    """``emit`` over edges sorted by (src, dst) in one pass: all that is carried from row to row is the last source and its minimum."""
+    last, least = None, 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        src, dst = _columns(batch)
+        lead = np.concatenate(([src[0] != last], src[1:] != src[:-1]))
+        group = np.cumsum(lead)
+        minima = np.concatenate(([least], np.minimum(src[lead], dst[lead])))
+        m = minima[group]
+        last, least = src[-1], m[-1]
+        joins = lead & (dst == m) & (m != src)
+        moves = (dst != m) & (m != src)
+        a = np.concatenate((src[joins], m[joins], dst[moves], src[moves]))
+        b = np.concatenate((m[joins], src[joins], m[moves], dst[moves]))
+        old = np.zeros(len(a), bool)
+        old[len(a) - int(moves.sum()):] = True
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(old)], ["src", "dst", "is_old"])
+
+
+def scan_neighbours(batches):
+    """First new row of each pair, of marked rows sorted by (src, dst, old first); ``met_old`` says that the pair was there before. Only the last row is carried."""
+    held = (None, None, False)
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        src, dst, old = _columns(batch)
+        same = np.concatenate(([held[:2] == (src[0], dst[0])], (src[1:] == src[:-1]) & (dst[1:] == dst[:-1])))
+        after_old = same & np.concatenate(([held[2]], old[:-1]))
+        held = (src[-1], dst[-1], bool(old[-1]))
+        take = ~old & (~same | after_old)
+        yield pa.RecordBatch.from_arrays([pa.array(src[take], pa.int64()), pa.array(dst[take], pa.int64()), pa.array(after_old[take])], ["src", "dst", "met_old"])
+
+
 def suppress(new: DataFrame, old: DataFrame | None = None, mode: str = "two_level") -> DataFrame:
     """Duplicate control alone: ``none`` keeps the bag, ``within_step`` the set, ``two_level`` also drops what was there before."""
     if mode not in MODES:
@@ -52,68 +86,73 @@ def suppress(new: DataFrame, old: DataFrame | None = None, mode: str = "two_leve
     return new.select("src", "dst").distinct().join(old.select("src", "dst"), ["src", "dst"], "left_anti")
 
 
-def _filtered(marked: DataFrame, mode: str, how: str) -> DataFrame:
-    fresh = F.count_if(~F.col("is_old"))
+def _grouped_step(state: DataFrame, mode: str) -> tuple[DataFrame, dict]:
+    """One step by keys: marked edges are grouped by pair, and counted while they are written."""
+    marked = emit(state, mode == "none")
     if mode == "none":
-        return marked.where("not is_old").select("src", "dst", F.lit(1).cast("long").alias("n_new"), F.lit(0).cast("long").alias("n_old"))
-    if how == "sort":
-        marked = marked.repartitionByRange("src", "dst").sortWithinPartitions("src", "dst", F.col("is_old").desc())
-    grouped = marked.groupBy("src", "dst").agg(fresh.alias("n_new"), F.count_if("is_old").alias("n_old"))
-    return grouped.where("n_new > 0")
-
-
+        rows = marked.select("src", "dst", F.when(F.col("is_old"), 0).otherwise(1).cast("long").alias("n_new"), F.col("is_old").cast("long").alias("n_old"))
+        keep = F.col("n_new") > 0
+    else:
+        rows = marked.groupBy("src", "dst").agg(F.count_if(~F.col("is_old")).alias("n_new"), F.count_if("is_old").alias("n_old"))
+        keep = (F.col("n_new") > 0) & (F.lit(mode == "within_step") | (F.col("n_old") == 0))
+    counts = [
+        F.count_if(keep).alias("edges_out"), F.count_if(F.col("n_new") > 0).alias("pairs"),
+        F.coalesce(F.sum("n_new"), F.lit(0)).alias("fresh"), F.coalesce(F.sum("n_old"), F.lit(0)).alias("busy"),
+    ]
+    out = materialize(rows, counts, lambda d: d.where(keep).select("src", "dst"))
+    return out, dict(out.measured)
+
+
+def _sorted_step(state: DataFrame, mode: str) -> tuple[DataFrame, dict]:
+    """One step by sorted passes: the first row of a source decides its role, and a pair's fate is seen from the row before."""
+    counts = [F.count_if(~F.col("is_old")).alias("fresh"), F.count_if("is_old").alias("busy")]
+    arranged = state.repartitionByRange("src").sortWithinPartitions("src", "dst").mapInArrow(scan_sources, MARKED)
+    if mode == "none":
+        out = materialize(arranged, counts, lambda d: d.where("not is_old").select("src", "dst"))
+        return out, dict(out.measured) | {"edges_out": out.measured["fresh"], "pairs": out.measured["fresh"]}
+    marked = materialize(arranged, counts)
+    order = marked.repartitionByRange("src", "dst").sortWithinPartitions("src", "dst", F.col("is_old").desc())
+    first = order.mapInArrow(scan_neighbours, "src bigint, dst bigint, met_old boolean")
+    keep = F.lit(mode == "within_step") | ~F.col("met_old")
+    out = materialize(first, [F.count("*").alias("pairs"), F.count_if(keep).alias("edges_out")], lambda d: d.where(keep).select("src", "dst"))
+    row = dict(marked.measured) | dict(out.measured)
+    discard(marked)
+    return out, row
+
+
+@tidy
 def _run(directed: DataFrame, dedupe: str, how: str, max_steps: int, trace: bool) -> ComponentResult:
     if dedupe not in MODES:
         raise ValueError(f"dedupe is one of {MODES}")
-    state = materialize(directed.distinct().select("src", "dst", F.lit(True).alias("kept")))
-    first_count = state.count()
-    kept_edges = first_count
-
-    def step(s: DataFrame) -> DataFrame:
-        marked = emit(s.where("kept").select("src", "dst"), how)
-        rows = _filtered(marked, dedupe, how)
-        kept = F.lit(True) if dedupe != "two_level" else F.col("n_old") == 0
-        return rows.select("src", "dst", "n_new", "n_old", kept.alias("kept"))
-
-    def measure(s: DataFrame) -> dict:
-        row = s.agg(
-            F.count_if("kept").alias("edges_out"),
-            F.coalesce(F.sum("n_new"), F.lit(0)).alias("fresh"),
-            F.coalesce(F.sum("n_old"), F.lit(0)).alias("old_met"),
-            F.count("*").alias("pairs"),
-        ).first().asDict()
-        return row
-
+    one = _sorted_step if how == "sort" else _grouped_step
+    state = materialize(directed.distinct().select("src", "dst"), [F.count("*").alias("n")])
+    everyone = materialize(state.select(F.col("src").alias("vertex")).distinct())
+    edges = state.measured["n"]
     metrics, history, converged = [], [state] if trace else [], False
     while len(metrics) < max_steps:
-        if kept_edges == 0:
+        if edges == 0:
             converged = True
             break
-        busy = _busy(state.where("kept").select("src", "dst"))
-        nxt, rows, _, _ = iterate(state, step, measure, lambda r: True, 1)
-        row = rows[0]
+        began = time.monotonic()
+        nxt, row = one(state, dedupe)
         metrics.append({
-            "step": len(metrics) + 1, "edges_in": kept_edges, "edges_mid": row["fresh"] + busy, "edges_out": row["edges_out"],
-            "propagated": busy, "turned": row["fresh"] - busy, "active": busy, "lowered": None, "mismatched": busy,
-            "dups_within": row["fresh"] - row["pairs"], "dups_across": row["pairs"] - row["edges_out"], "elapsed_ms": row["elapsed_ms"],
+            "step": len(metrics) + 1, "edges_in": edges, "edges_mid": row["fresh"] + row["busy"], "edges_out": row["edges_out"],
+            "propagated": row["busy"], "turned": row["fresh"] - row["busy"], "active": row["busy"], "lowered": None, "mismatched": row["busy"],
+            "dups_within": row["fresh"] - row["pairs"], "dups_across": row["pairs"] - row["edges_out"], "elapsed_ms": (time.monotonic() - began) * 1000,
+            "carried_values": 5 if how == "sort" else None,
         })
-        kept_edges = row["edges_out"]
+        edges = row["edges_out"]
         if trace:
             history.append(nxt)
+        else:
+            discard(state)
         state = nxt
-        if busy == 0:
+        if row["busy"] == 0:
             converged = True
             break
-    final = state.where("kept").groupBy("src").agg(F.min("dst").alias("m"))
+    final = state.groupBy("src").agg(F.min("dst").alias("m"))
     labels = final.select(F.col("src").alias("vertex"), F.least("src", "m").alias("component"))
-    everyone = directed.select(F.col("src").alias("vertex")).distinct()
-    return ComponentResult(add_isolated(labels, everyone), metrics, state.where("kept").select("src", "dst"), converged, 2 if dedupe != "none" else 1, history)
-
-
-def _busy(edges: DataFrame) -> int:
-    """Edges that will propagate: their source is not its own minimum and their target is not the minimum."""
-    least = edges.groupBy("src").agg(F.min("dst").alias("m"))
-    return edges.join(least, "src").where("m < src and dst <> m").count()
+    return ComponentResult(add_isolated(labels, everyone), metrics, state, converged, 2 if dedupe != "none" else 1, history, [state, everyone])
 
 
 def connected_components(edges: DataFrame, *, vertices: DataFrame | None = None, dedupe: str = "two_level", max_steps: int = 200, trace: bool = False) -> ComponentResult:
@@ -124,7 +163,7 @@ def connected_components(edges: DataFrame, *, vertices: DataFrame | None = None,
 
 
 def sorted_components(edges: DataFrame, *, vertices: DataFrame | None = None, dedupe: str = "two_level", max_steps: int = 200, trace: bool = False) -> ComponentResult:
-    """The sort-and-scan form: range partitions sorted by (src, dst); the first row of a source decides its role."""
+    """The sort-and-scan form: sorted range partitions are scanned with a few carried values; memory does not grow with a source."""
     out = _run(twins(normalize_edges(edges)), dedupe, "sort", max_steps, trace)
     out.labels = add_isolated(out.labels, vertices)
     return out

@@ -2,18 +2,18 @@
 
 from __future__ import annotations
 
-import time
+import functools
 import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 from starfold.session import ensure_checkpoint_dir
 
 STEP_SCHEMA = (
     "step int, edges_in long, edges_mid long, edges_out long, propagated long, turned long, active long, "
-    "lowered long, mismatched long, dups_within long, dups_across long, elapsed_ms double"
+    "lowered long, mismatched long, dups_within long, dups_across long, largest_key long, elapsed_ms double"
 )
 STEP_COLUMNS = [c.split()[0] for c in STEP_SCHEMA.split(", ")]
 
@@ -28,6 +28,8 @@ class ComponentResult:
     converged: bool = True
     passes_per_step: int = 1
     history: list[DataFrame] = field(default_factory=list)
+    #: Tables that ``labels``, ``edges`` and ``history`` are read from; a run deletes all others it wrote.
+    keep: list[DataFrame] = field(default_factory=list)
 
     @property
     def n_steps(self) -> int:
@@ -48,48 +50,56 @@ class ComponentResult:
         return spark.createDataFrame(rows, STEP_SCHEMA)
 
 
-def materialize(df: DataFrame) -> DataFrame:
+def materialize(df: DataFrame, measure: list[Column] | None = None, then: Callable[[DataFrame], DataFrame] = lambda d: d) -> DataFrame:
     """Cut the lineage with a table in the shared folder, which survives lost executors.
 
     A written table also gives the planner the true size: the estimate that a checkpoint carries over is the
-    product of its joins' estimates and grows without bound through an iteration.
+    product of its joins' estimates and grows without bound through an iteration. ``measure`` is aggregated while
+    the rows are written, so no second reading is needed; the row is the attribute ``measured``.
+    ``then`` is applied to the measured rows before they are written.
     """
     spark = df.sparkSession
     path = f"{ensure_checkpoint_dir(spark).rstrip('/')}/starfold-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
+    watch = Observation() if measure else None
+    df = then(df.observe(watch, *measure) if measure else df)
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._starfold_path = path
+    for made in _RUNS:
+        made.append(out)
+    if watch:
+        out.measured = watch.get
     return out
 
 
-def discard(df: DataFrame) -> None:
-    """Delete the table behind a materialized frame that nothing reads any more."""
-    path = getattr(df, "_starfold_path", None)
-    if path:
-        sc = df.sparkSession.sparkContext
-        where = sc._jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def iterate(
-    state: DataFrame,
-    step: Callable[[DataFrame], DataFrame],
-    measure: Callable[[DataFrame], dict],
-    done: Callable[[dict], bool],
-    max_steps: int,
-    keep: bool = False,
-) -> tuple[DataFrame, list[dict], bool, list[DataFrame]]:
-    """Apply ``step`` until ``done`` holds for the measured row, or ``max_steps`` is reached."""
-    metrics: list[dict] = []
-    history = [state] if keep else []
-    for k in range(1, max_steps + 1):
-        began = time.monotonic()
-        state = materialize(step(state))
-        row = measure(state)
-        row |= {"step": k, "elapsed_ms": (time.monotonic() - began) * 1000}
-        metrics.append(row)
-        if keep:
-            history.append(state)
-        if done(row):
-            return state, metrics, True, history
-    return state, metrics, False, history
+def discard(*tables: DataFrame) -> None:
+    """Delete the tables behind materialized frames that nothing reads any more."""
+    for df in tables:
+        path = getattr(df, "_starfold_path", None)
+        if path:
+            sc = df.sparkSession.sparkContext
+            where = sc._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
+            df._starfold_path = None
+
+
+_RUNS: list[list[DataFrame]] = []
+
+
+def tidy(method):
+    """A run deletes the tables it wrote, but for those its result names, also when it ends in an error."""
+
+    @functools.wraps(method)
+    def run(*args, **options):
+        made: list[DataFrame] = []
+        _RUNS.append(made)
+        kept: list[DataFrame] = []
+        try:
+            out = method(*args, **options)
+            kept = [*out.keep, *out.history]
+            return out
+        finally:
+            _RUNS.remove(made)
+            discard(*[t for t in made if not any(t is k for k in kept)])
+
+    return run
