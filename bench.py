@@ -21,6 +21,7 @@ def main() -> None:
         "alternating_customer_supplier": lambda: connected_components(tables.customer_supplier(spark, sf_dir), stop="quiet_counter"),
         "alternating_user_event_chain": lambda: connected_components(tables.user_event_chain(spark, sf_dir), stop="quiet_counter"),
         "alternating_seq_path_16": lambda: connected_components(graphs.seq_path(spark, 16), stop="quiet_counter"),
+        "alternating_seq_path_20": lambda: connected_components(graphs.seq_path(spark, 20), stop="quiet_counter"),
         "alternating_grid_4096x12": lambda: connected_components(graphs.bridged_grid(spark, 4096, 12), stop="quiet_counter"),
         "paired_order_part": lambda: paired(tables.order_part(spark, sf_dir)),
         "two_star_order_part": lambda: two_star_rounds(tables.order_part(spark, sf_dir)),

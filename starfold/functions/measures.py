@@ -143,12 +143,44 @@ def largest_components(labels: DataFrame, k: int) -> DataFrame:
     return component_sizes(labels).orderBy(F.desc("n"), "component").limit(k)
 
 
+def component_filter(labels: DataFrame, least: int = 1, most: int | None = None) -> DataFrame:
+    """Labels of components of ``least`` to ``most`` vertices."""
+    size = F.col("n") >= least
+    sizes = component_sizes(labels).where(size if most is None else size & (F.col("n") <= most))
+    return labels.join(sizes.select("component"), "component", "left_semi").select("vertex", "component")
+
+
+def coverage(labels: DataFrame) -> DataFrame:
+    """Share of all vertices in the components of each size and above; one row a size, so the window holds few rows."""
+    sizes = size_histogram(labels)
+    larger = Window.orderBy(F.desc("n")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    reach = F.sum(F.col("n") * F.col("components"))
+    return sizes.select("n", "components", F.dense_rank().over(Window.orderBy(F.desc("n"))).cast("long").alias("size_rank"), reach.over(larger).alias("vertices_reached"))
+
+
+def edge_delta(trace: DataFrame, k: int) -> DataFrame:
+    """Edges that step ``k`` of a trace made (change 1) or took away (change -1), with repeats."""
+    at = lambda n: trace.where((F.col("step") == n) & F.col("dst").isNotNull()).select("src", "dst", F.explode(F.sequence(F.lit(1).cast("long"), "mult"))).select("src", "dst")
+    was, now = at(k - 1), at(k)
+    return now.exceptAll(was).withColumn("change", F.lit(1)).unionByName(was.exceptAll(now).withColumn("change", F.lit(-1)))
+
+
+def symmetric_difference(a: DataFrame, b: DataFrame) -> DataFrame:
+    """(vertex, component) pairs that one of two labelings has and the other lacks."""
+    pair = ["vertex", "component"]
+    x, y = a.select(*pair), b.select(*pair)
+    return x.exceptAll(y).unionByName(y.exceptAll(x))
+
+
 def attach_components(df: DataFrame, key: str, labels: DataFrame) -> DataFrame:
-    """``df`` with the component of ``key``; a key that no edge names is its own component."""
-    named = labels.select(F.col("vertex").alias(key), F.col("component").alias("_c"))
-    return df.join(named, key, "left").withColumn("component", F.coalesce("_c", key)).drop("_c")
+    """``df`` with the component of ``key``; a key that no edge names is its own component. A column ``component`` of ``df`` is replaced."""
+    rows = df.select(F.struct("*").alias("row"), F.col(key).alias("vertex"))
+    named = rows.join(labels.select("vertex", "component"), "vertex", "left")
+    kept = [F.col(f"row.`{c}`") for c in df.columns if c != "component"]
+    return named.select(*kept, F.coalesce("component", "vertex").alias("component"))
 
 
 def model_costs(spark: SparkSession, edges: DataFrame, names: list[str]) -> DataFrame:
-    rows = [tuple(r.values()) for r in compare(edges, names)]
-    return spark.createDataFrame(rows, "method string, steps int, passes int, work long, dup_factor double, seconds double, components long")
+    """Steps, passes, work and duplication of each method: counts alone, which do not depend on the machine."""
+    rows = [(r["method"], r["steps"], r["passes"], r["work"], round(r["dup_factor"], 6), r["components"]) for r in compare(edges, names)]
+    return spark.createDataFrame(rows, "method string, steps long, passes long, work long, dup_factor double, components long")

@@ -54,8 +54,10 @@ def _deliver(state: DataFrame) -> DataFrame:
     )
 
 
-def _folded(state: DataFrame) -> DataFrame:
-    return _deliver(state).groupBy("src", "dst").agg(
+def _folded(state: DataFrame, by_source: bool) -> DataFrame:
+    """Equal delivered rows as one with their number. Dealt ``by_source`` the fold and the window after it share one exchange."""
+    rows = _deliver(state)
+    return (rows.repartition("src") if by_source else rows).groupBy("src", "dst").agg(
         F.sum("mult").alias("mult"), F.min("sender").alias("low"), F.max("sender").alias("high"),
         F.sum("moved").alias("moved"), F.sum("loud").alias("loud"),
     )
@@ -68,14 +70,14 @@ def _step(layout: str, fanin: int, salts: int):
 
     def compact(state: DataFrame) -> DataFrame:
         per = Window.partitionBy("src")
-        return _folded(state).select(
+        return _folded(state, True).select(
             "src", "dst", "mult", F.min("low").over(per).alias("label"), "moved", "loud", "low", "high",
             F.max(before).over(per).alias("before"), F.max("high").over(per).alias("top"), F.count("*").over(per).alias("degree"),
         )
 
     def spread(state: DataFrame) -> DataFrame:
         """No task ever holds all edges of a vertex: minima are folded before the exchange, then joined back."""
-        folded = materialize(_folded(state))
+        folded = materialize(_folded(state, False))
         level = folded.select("src", "low", "high", before.alias("before"), F.lit(1).cast("long").alias("n"), F.pmod(F.hash("dst"), F.lit(salts)).alias("salt"))
         fold = [F.min("low").alias("low"), F.max("high").alias("high"), F.max("before").alias("before"), F.sum("n").alias("n")]
         width = salts

@@ -5,6 +5,7 @@ from __future__ import annotations
 import itertools
 import time
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -162,6 +163,49 @@ def two_star_rounds(edges: DataFrame, *, vertices: DataFrame | None = None, max_
     return ComponentResult(add_isolated(labels, vertices), metrics, e, converged, 2, keep=[e])
 
 
+def recursive_sql(edges: DataFrame, depth: int) -> DataFrame:
+    """Labels by a recursive query that walks at most ``depth`` hops; right if no vertex lies farther from its least one.
+
+    Only walks over larger vertices than their start are followed: from the least vertex of a component all are.
+    """
+    spark = edges.sparkSession
+    twins(normalize_edges(edges)).createOrReplaceTempView("starfold_twins")
+    return spark.sql(f"""
+        WITH RECURSIVE walk(vertex, component, depth) AS (
+            SELECT DISTINCT src, src, 0 FROM starfold_twins
+            UNION ALL
+            SELECT t.dst, w.component, w.depth + 1 FROM walk w JOIN starfold_twins t ON t.src = w.vertex
+            WHERE w.depth < {int(depth)} AND t.dst > w.component)
+        SELECT vertex, min(component) AS component FROM walk GROUP BY vertex""")
+
+
+def local_forest(edges: DataFrame) -> DataFrame:
+    """A spanning forest of the edges of each task: the same components from at most one edge a vertex and task.
+
+    The state of a task is one entry a vertex it meets, so tasks should be of a size that an executor can hold.
+    """
+    def step(batches):
+        up: dict[int, int] = {}
+
+        def root(x: int) -> int:
+            while up.setdefault(x, x) != x:
+                up[x] = up[up[x]]
+                x = up[x]
+            return x
+
+        for batch in batches:
+            a, b = [], []
+            for x, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                p, q = root(x), root(y)
+                if p != q:
+                    up[max(p, q)] = min(p, q)
+                    a.append(x)
+                    b.append(y)
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    return edges.where("a is not null and b is not null").select("a", "b").mapInArrow(step, "a bigint, b bigint")
+
+
 def union_find(edges: DataFrame, limit: int = 2_000_000) -> dict[int, int]:
     """Exact answer on the driver for small graphs; refuses more than ``limit`` edges."""
     rows = edges.select("a", "b").where("a is not null and b is not null").limit(limit + 1).collect()

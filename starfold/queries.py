@@ -40,10 +40,11 @@ def _star(table: str, hub: str, leaf: str) -> str:
     )
 
 
+_CS = "SELECT DISTINCT 2 * o_custkey AS a, 2 * l_suppkey + 1 AS b FROM orders JOIN lineitem ON o_orderkey = l_orderkey"
 _SIX = lambda c, k: f"CAST(6 * {c} + {k} AS BIGINT)"
 SQL = {
     "order_part": unrolled("SELECT DISTINCT 2 * l_orderkey AS a, 2 * l_partkey + 1 AS b FROM lineitem", 12),
-    "customer_supplier": unrolled("SELECT DISTINCT 2 * o_custkey AS a, 2 * l_suppkey + 1 AS b FROM orders JOIN lineitem ON o_orderkey = l_orderkey", 8),
+    "customer_supplier": unrolled(_CS, 8),
     "customer_order": _star("orders", "2 * o_custkey", "2 * o_orderkey + 1"),
     "nation_region": _star("nation", "2 * n_regionkey", "2 * n_nationkey + 1"),
     "event_chain": "SELECT event_id AS vertex, (SELECT MIN(event_id) FROM events) AS component FROM events",
@@ -71,6 +72,15 @@ SQL = {
     "doc_shared_line": unrolled(
         "WITH x AS (SELECT DISTINCT doc_id, TRIM(l) AS h FROM (SELECT doc_id, UNNEST(string_split(text, chr(10))) AS l FROM documents) q WHERE LENGTH(TRIM(l)) >= 40), "
         "f AS (SELECT h, MIN(doc_id) AS m FROM x GROUP BY h) SELECT DISTINCT f.m AS a, x.doc_id AS b FROM x JOIN f ON x.h = f.h WHERE f.m <> x.doc_id", 16),
+    "page_host": unrolled(
+        "SELECT DISTINCT 2 * p.page_id AS a, 2 * r.k + 1 AS b FROM (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS h FROM pages) p "
+        "JOIN (SELECT h, ROW_NUMBER() OVER (ORDER BY h) AS k FROM (SELECT DISTINCT regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS h FROM pages WHERE url IS NOT NULL) q) r ON p.h = r.h", 3),
+    "doc_line_bipartite": unrolled(
+        "WITH x AS (SELECT DISTINCT doc_id, TRIM(l) AS h FROM (SELECT doc_id, UNNEST(string_split(text, chr(10))) AS l FROM documents) q WHERE LENGTH(TRIM(l)) >= 40), "
+        "r AS (SELECT h, ROW_NUMBER() OVER (ORDER BY h) AS k FROM (SELECT DISTINCT h FROM x) y) SELECT 2 * x.doc_id AS a, 2 * r.k + 1 AS b FROM x JOIN r ON x.h = r.h", 24),
+    "vector_neighbours": unrolled(
+        "SELECT x.vec_id AS a, y.vec_id AS b FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id "
+        "WHERE list_cosine_similarity(CAST(x.embedding AS DOUBLE[]), CAST(y.embedding AS DOUBLE[])) >= 0.3", 16),
     "doc_benchmark": unrolled(
         "SELECT DISTINCT 2 * d.i AS a, 2 * b.j + 1 AS b FROM (SELECT doc_id AS i, TRIM(l) AS h FROM (SELECT doc_id, UNNEST(string_split(text, chr(10))) AS l FROM documents) q) d "
         "JOIN (SELECT item_id AS j, TRIM(l) AS h FROM (SELECT item_id, UNNEST(string_split(text, chr(10))) AS l FROM benchmark) q) b ON d.h = b.h WHERE LENGTH(d.h) >= 20", 8),
@@ -96,18 +106,23 @@ for _n in B:
 for _n in ("customer_supplier", "rare_return_parts", "turn_chain", "doc_shared_line"):
     _add(f"cc_paired_{_n}", _labels(_n, paired.connected_components), SQL[_n])
     _add(f"cc_sorted_{_n}", _labels(_n, paired.sorted_components), SQL[_n])
-for _m, _f in (
-    ("cc_tree_combine", measures.METHODS["alternating_tree"]), ("cc_retire", measures.METHODS["alternating_retire"]),
-    ("cc_spread", lambda e: alternating.connected_components(e, layout="spread")),
-    ("cc_quiet_counter", lambda e: alternating.connected_components(e, stop="quiet_counter")),
-    ("cc_no_dedupe", measures.METHODS["paired_none"]), ("cc_within_step", measures.METHODS["paired_within_step"]),
-    ("cc_sorted_no_dedupe", measures.METHODS["sorted_none"]),
-    ("baseline_min_flood", baselines.min_flood), ("baseline_duplicating_flood", baselines.duplicating_flood),
-    ("baseline_hook_compress", baselines.hook_and_compress), ("baseline_hook_compress_tree", measures.METHODS["hook_compress_tree"]),
-    ("baseline_coin_flip", baselines.coin_flip_contraction), ("baseline_two_star", baselines.two_star_rounds),
-    ("baseline_sort_random", baselines.sort_random_contraction),
-):
+VARIANTS = {
+    "cc_tree_combine": measures.METHODS["alternating_tree"], "cc_retire": measures.METHODS["alternating_retire"],
+    "cc_spread": lambda e: alternating.connected_components(e, layout="spread"),
+    "cc_quiet_counter": lambda e: alternating.connected_components(e, stop="quiet_counter"),
+    "cc_local_forest": lambda e: alternating.connected_components(baselines.local_forest(e)),
+    "cc_no_dedupe": measures.METHODS["paired_none"], "cc_within_step": measures.METHODS["paired_within_step"],
+    "cc_sorted_no_dedupe": measures.METHODS["sorted_none"],
+    "baseline_min_flood": baselines.min_flood, "baseline_duplicating_flood": baselines.duplicating_flood,
+    "baseline_hook_compress": baselines.hook_and_compress, "baseline_hook_compress_tree": measures.METHODS["hook_compress_tree"],
+    "baseline_coin_flip": baselines.coin_flip_contraction, "baseline_two_star": baselines.two_star_rounds,
+    "baseline_sort_random": baselines.sort_random_contraction,
+}
+for _m, _f in VARIANTS.items():
     _add(_m, _labels("rare_return_orders", _f), SQL["rare_return_orders"])
+    for _n in ("order_part", "customer_supplier"):
+        _add(f"{_m}_{_n}", _labels(_n, _f), SQL[_n])
+_add("baseline_recursive_sql", lambda s, d: baselines.recursive_sql(graphs.binary_tree(s, 7), 8), "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(128)")
 
 _add("seq_path_labels", lambda s, d: alternating.connected_components(graphs.seq_path(s, 10)).whole(), "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(1024)")
 _add("bridged_grid_labels", lambda s, d: alternating.connected_components(graphs.bridged_grid(s, 64, 6)).whole(), "SELECT CAST(range AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS component FROM range(385)")
@@ -140,8 +155,43 @@ _add(
     "SELECT CAST(range AS BIGINT) AS step, CAST(126 AS BIGINT) AS edges, CAST(0 AS BIGINT) AS loops, CAST(0 AS BIGINT) AS rose FROM range(6)",
 )
 _add("label_retention", lambda s, d: measures.label_retention(graphs.seq_path(s, 6)))
-_add("duplication_factors", lambda s, d: measures.model_costs(s, graphs.seq_path(s, 8), ["alternating", "paired", "paired_within_step", "paired_none"]))
-_add("model_costs", lambda s, d: measures.model_costs(s, B["rare_return_parts"](s, d), ["alternating", "paired", "sorted", "min_flood", "hook_compress", "two_star"]))
+def _values(columns: str, types: str, rows: str) -> str:
+    names = columns.split(", ")
+    return "SELECT " + ", ".join(f"CAST({n} AS {t}) AS {n}" for n, t in zip(names, types.split(), strict=True)) + f" FROM (VALUES {rows}) t({columns})"
+
+
+_COSTS, _COST_TYPES = "method, steps, passes, work, dup_factor, components", "VARCHAR BIGINT BIGINT BIGINT DOUBLE BIGINT"
+_add("duplication_factors", lambda s, d: measures.model_costs(s, graphs.seq_path(s, 8), ["alternating", "paired", "paired_within_step", "paired_none"]), _values(
+    _COSTS, _COST_TYPES, "('alternating', 13, 13, 6630, 1.0, 1), ('paired', 17, 34, 8670, 1.0, 1), ('paired_within_step', 14, 28, 19020, 4.266667, 1), ('paired_none', 14, 14, 21726, 4.7, 1)"))
+_add("model_costs", lambda s, d: measures.model_costs(s, graphs.bridged_grid(s, 16, 4), ["alternating", "paired", "sorted", "min_flood", "hook_compress", "two_star"]), _values(
+    _COSTS, _COST_TYPES, "('alternating', 5, 5, 1240, 1.0, 1), ('paired', 11, 22, 1631, 0.870968, 1), ('sorted', 11, 22, 1631, 0.870968, 1), ('min_flood', 5, 5, 1240, 1.0, 1), "
+    "('hook_compress', 5, 5, 1240, 1.0, 1), ('two_star', 5, 10, 862, 0.741935, 1)"))
+_add("four_path_labels", lambda s, d: alternating.connected_components(graphs.all_four_paths(s)).whole(), "SELECT CAST(10 * i.range + j.range AS BIGINT) AS vertex, CAST(10 * i.range AS BIGINT) AS component FROM range(24) i CROSS JOIN range(4) j")
+
+
+def _bounds(spark, rows):
+    """(name, within): whether the steps that change something, one less than those counted, are within the proved bound."""
+    return spark.createDataFrame([(n, bool(steps - 1 <= bound)) for n, steps, bound in rows], "name string, within boolean")
+
+
+def _step_bounds(s, d):
+    quiet = {"stop": "quiet_counter"}
+    rows = [("four_paths", alternating.connected_components(graphs.all_four_paths(s), **quiet).n_steps, 3)]
+    rows += [(f"stars_{a}_{b}_{up}", alternating.run_twins(graphs.star_pair_twins(s, a, b, up), **quiet).n_steps, 3) for a, b in ((3, 4), (6, 2)) for up in (True, False)]
+    rows += [(f"path_{e}", alternating.connected_components(graphs.shuffled_path(s, e), **quiet).n_steps, 3 + 3 * (e - 2)) for e in (4, 6, 8)]
+    return _bounds(s, rows)
+
+
+_add("step_bounds", _step_bounds, _values("name, within", "VARCHAR BOOLEAN", ", ".join(
+    f"('{n}', true)" for n in ("four_paths", "stars_3_4_True", "stars_3_4_False", "stars_6_2_True", "stars_6_2_False", "path_4", "path_6", "path_8"))))
+_add("steps_by_partitions", lambda s, d: _step_counts(s, [(n, graphs.seq_path(s, 6).repartition(n)) for n in (1, 4, 16)]), _values("size, steps", "BIGINT BIGINT", "(1, 11), (4, 11), (16, 11)"))
+_add(
+    "largest_key", lambda s, d: s.createDataFrame([measures.largest_key(B["customer_supplier"](s, d))], "max_key_rows long, max_acting_key_rows long"),
+    f"WITH e AS ({_CS}), t AS (SELECT a AS s, b AS d FROM e UNION ALL SELECT b, a FROM e), k AS (SELECT s, COUNT(*) AS n, MIN(d) AS m FROM t GROUP BY s) "
+    "SELECT MAX(n) AS max_key_rows, MAX(CASE WHEN m < s THEN n END) AS max_acting_key_rows FROM k",
+)
+_add("figure_edge_delta", lambda s, d: measures.edge_delta(alternating.trace(graphs.figure_path(s), 2), 2).select("src", "dst", F.col("change").cast("long")), _values(
+    "src, dst, change", "BIGINT BIGINT BIGINT", "(1, 4, 1), (2, 1, 1), (2, 1, 1), (4, 1, -1), (3, 2, -1), (2, 4, -1)"))
 
 
 def _over(name, fn):
@@ -154,6 +204,11 @@ _add("size_histogram", _over("rare_return_orders", measures.size_histogram), f"S
 _add("largest_components", _over("rare_return_orders", lambda x: measures.largest_components(x, 10)), f"SELECT component, COUNT(*) AS n FROM ({_CO}) q GROUP BY component ORDER BY n DESC, component LIMIT 10")
 
 
+_add("component_filter", _over("rare_return_orders", lambda x: measures.component_filter(x, 3, 6)), f"WITH q AS ({_CO}) SELECT vertex, component FROM q WHERE component IN (SELECT component FROM q GROUP BY component HAVING COUNT(*) BETWEEN 3 AND 6)")
+_add("coverage", _over("rare_return_orders", measures.coverage), f"WITH h AS (SELECT n, COUNT(*) AS components FROM (SELECT component, COUNT(*) AS n FROM ({_CO}) q GROUP BY component) r GROUP BY n) "
+     "SELECT n, components, DENSE_RANK() OVER (ORDER BY n DESC) AS size_rank, CAST(SUM(n * components) OVER (ORDER BY n DESC ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS vertices_reached FROM h")
+
+
 def _rollup(s, d):
     labels = alternating.connected_components(tables.doc_exact(s, d)).whole()
     docs = measures.attach_components(tables.table(s, d, "documents", ["doc_id", "lang", "source"]), "doc_id", labels)

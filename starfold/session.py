@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import SparkSession
@@ -22,7 +23,7 @@ def local_session(cores: int | str = "*", partitions: int = 8, memory: str = "8g
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder of the cluster; a temporary one only where none is set."""
+    """The shared folder of the cluster. A temporary one is made only in a single process; a cluster without one is an error."""
     configured = spark.conf.get("spark.checkpoint.dir", None)
     sc = spark.sparkContext
     if configured:
@@ -31,6 +32,8 @@ def ensure_checkpoint_dir(spark: SparkSession) -> str:
         return configured
     held = sc._jsc.sc().getCheckpointDir()
     if not held.isDefined():
+        if not re.match(r"local(\[|$)", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="starfold-"))
         held = sc._jsc.sc().getCheckpointDir()
     return held.get()

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -64,23 +64,16 @@ def encode_vertices(edges: DataFrame, a: str, b: str, partitions: int = 32) -> t
 
 def relabel(edges: DataFrame, how: str = "shuffle", seed: int = 0) -> tuple[DataFrame, DataFrame]:
     """Rename vertices so that a long sequential chain loses its order; returns edges and (vertex, new)."""
-    from pyspark.sql import Window
-
-    if how == "reverse":
-        order: list[Column] = [F.col("vertex").desc()]
-        base = vertices_of(edges)
-    elif how == "degree":
+    if how == "degree":
         base = twins(edges).groupBy(F.col("src").alias("vertex")).agg(F.count("*").alias("degree"))
-        order = [F.col("degree").desc(), F.col("vertex")]
+        first = -F.col("degree")
     else:
         base = vertices_of(edges)
-        order = [F.xxhash64("vertex", F.lit(seed)), F.col("vertex")]
-    keyed = base.select("vertex", F.struct(*[c.alias(f"k{i}") for i, c in enumerate(order)]).alias("key")) if how == "shuffle" else None
-    if keyed is not None:
-        pairs, names = encode_vertices(keyed.select(F.col("key").alias("p"), F.col("key").alias("q")), "p", "q")
-        names = names.select(F.col("key.k1").alias("vertex"), F.col("vertex").alias("new"))
-    else:
-        names = base.select("vertex", (F.row_number().over(Window.orderBy(*order)) - 1).cast("long").alias("new"))
+        first = -F.col("vertex") if how == "reverse" else F.xxhash64("vertex", F.lit(seed))
+    # Ranks come from counts of key ranges, never from one window over all vertices.
+    key = base.select(F.struct(first.alias("k0"), F.col("vertex").alias("k1")).alias("p"))
+    _, names = encode_vertices(key.withColumn("q", F.col("p")), "p", "q")
+    names = names.select(F.col("key.k1").alias("vertex"), F.col("vertex").alias("new"))
     renamed = (
         edges.join(names.select(F.col("vertex").alias("a"), F.col("new").alias("na")), "a")
         .join(names.select(F.col("vertex").alias("b"), F.col("new").alias("nb")), "b")

@@ -84,12 +84,6 @@ def rare_return_parts(spark, d):
     return _pairs(li, 2 * F.col("l_partkey"), 2 * F.col("l_suppkey") + 1)
 
 
-def _keyed(df: DataFrame, left, key) -> tuple[DataFrame, DataFrame]:
-    """Bipartite pairs (left id, key); the key's vertex is 2 * (least left id that has it) of the other parity."""
-    pairs = df.select(left.alias("l"), key.alias("k")).where("l is not null and k is not null").distinct()
-    return pairs, pairs.groupBy("k").agg(F.min("l").alias("code"))
-
-
 def page_host(spark, d):
     p = table(spark, d, "pages", ["page_id", "url"]).select("page_id", F.parse_url("url", F.lit("HOST")).alias("h"))
     return _named_bipartite(p, "page_id", "h")
@@ -108,7 +102,7 @@ def doc_line_bipartite(spark, d, least: int = 40):
 
 def _named_bipartite(df: DataFrame, left: str, key: str) -> DataFrame:
     """2·left and 2·(dense rank of key)+1: ranks come from counts of key ranges, never from one window over all rows."""
-    pairs, _ = _keyed(df, F.col(left), F.col(key))
+    pairs = df.select(F.col(left).alias("l"), F.col(key).alias("k")).where("l is not null and k is not null").distinct()
     from starfold.sources.graphs import encode_vertices
 
     _, names = encode_vertices(pairs.select(F.col("k").alias("p"), F.col("k").alias("q")), "p", "q")
