@@ -175,7 +175,8 @@ def mark(docs: DataFrame, benchmark: DataFrame, *, window: int = 10, text: str =
     """Adds n_words, hit_starts and hit_ends (word places), hit_items and hit_bytes (byte places of the spans)."""
     extra = "n_words bigint, hit_starts array<int>, hit_ends array<int>, hit_items array<string>"
     clash = [c for c in docs.columns if c in ("n_words", "hit_starts", "hit_ends", "hit_items")]
-    docs = docs.drop(*clash)
+    if clash:
+        raise ValueError(f"columns that would be lost: {clash}")
     sc = docs.sparkSession.sparkContext
     first = True
     for automaton in automata(benchmark, window, block_bytes):
@@ -241,16 +242,16 @@ def cut_spans(text: str, starts: list[int], ends: list[int]) -> str:
     return b"".join(out).decode("utf-8", "surrogatepass")
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, *, window: int = 10, max_coverage: float = 0.5, **options) -> DataFrame:
+def clean(docs: DataFrame, benchmark: DataFrame, *, window: int = 10, max_coverage: float = 0.5, text: str = "text", **options) -> DataFrame:
     """``docs`` without contamination: spans are cut, and a document of which more than ``max_coverage`` is hit goes.
 
     Columns are those of ``docs``; n_chars, where there is one, follows the text.
     """
-    names = docs.columns
-    marked = mark(docs, benchmark, window=window, **options)
+    rows = docs.select(F.struct("*").alias("row"), F.col(text).alias("text"))
+    marked = mark(rows, benchmark, window=window, **options)
     hits = F.aggregate(F.zip_with("hit_ends", "hit_starts", lambda e, s: (e - s).cast("bigint")), F.lit(0).cast("bigint"), lambda a, x: a + x)
-    kept = marked.where(hits <= F.col("n_words") * max_coverage)
-    schema = kept.schema
+    kept = marked.where(hits <= F.col("n_words") * max_coverage).withColumn("cut", F.size("hit_starts") > 0)
+    schema = kept.select("row", "text", "cut").schema
 
     def step(batches):
         for batch in batches:
@@ -261,5 +262,12 @@ def clean(docs: DataFrame, benchmark: DataFrame, *, window: int = 10, max_covera
             yield pa.RecordBatch.from_arrays([cols[c] for c in schema.names], schema.names)
 
     touched = kept.mapInArrow(step, schema)
-    out = touched.withColumn("n_chars", F.when(F.size("hit_starts") > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))) if "n_chars" in names else touched
-    return out.select(*names)
+
+    def column(c: str):
+        if c == text:
+            return F.col("text").alias(c)
+        if c == "n_chars":
+            return F.when(F.col("cut"), F.length("text").cast(docs.schema[c].dataType)).otherwise(F.col("row.n_chars")).alias(c)
+        return F.col(f"row.`{c}`")
+
+    return touched.select(*[column(c) for c in docs.columns])

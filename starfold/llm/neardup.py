@@ -6,7 +6,8 @@ then still in different classes are compared as well, unless their similarities
 shingles that no other open text has, or their signatures rule a link out. Pairs inside a class are never formed.
 
 Defined results: null ids belong to no class and are left out of the links; texts without words are linked only
-to equal texts; a null text is a class of its own. An id that repeats with other text has one class.
+to equal texts; a null text is a class of its own. Texts, not ids, are what is linked: where an id repeats with
+other text each of its texts has its own class, named by the least id of the class.
 """
 
 from __future__ import annotations
@@ -182,12 +183,22 @@ def _likely(rows: DataFrame, ids: DataFrame, most: int = 1 << 18) -> DataFrame:
     return rows.withColumns({"_word": word, "_bit": bit}).join(F.broadcast(marks), "_word").where("_bits & _bit <> 0").select(*rows.columns)
 
 
-def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, text: str = "text") -> DataFrame:
-    """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``."""
+def _representatives(known: DataFrame) -> DataFrame:
+    """One row for each text: digest, ``first`` (its least id) and ``vertex``, which is that id, or a number below all ids for the further texts of an id."""
+    reps = stored(known.groupBy("digest").agg(F.min("doc_id").alias("first"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("sketch", "doc_id").alias("sketch")))
+    again = reps.groupBy("first").agg(F.count("*").alias("n"), F.min("digest").alias("least")).where("n > 1").select("first", "least")
+    if again.isEmpty():
+        return reps.withColumn("vertex", F.col("first"))
+    further = stored(reps.select("first", "digest").join(again, "first").where("digest <> least").select("digest", F.monotonically_increasing_id().alias("k")))
+    below = F.lit(min(reps.agg(F.min("first")).first()[0], 0)).cast("bigint") - 1
+    return stored(reps.join(further, "digest", "left").withColumn("vertex", F.coalesce(below - F.col("k"), "first")).drop("k"))
+
+
+def _classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, text: str = "text", block: int = 1024) -> tuple[DataFrame, bool]:
+    """doc_id, digest, class_id and ``stays`` (the row's text is the one that its class keeps) of every row; and whether ids repeat."""
     signed = stored(with_bands(docs, words=words, bands=bands, rows=rows, text=text))
     known = signed.where("digest is not null and doc_id is not null")
-    reps = known.groupBy("digest").agg(F.min("doc_id").alias("vertex"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("sketch", "doc_id").alias("sketch"))
-    reps = stored(reps)
+    reps = _representatives(known)
     cells = reps.select("vertex", F.explode("bands").alias("bucket"))
     shared = cells.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
     members = stored(cells.join(shared, "bucket"))
@@ -199,10 +210,15 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     tried = stored(met.select(F.least("vertex", "pivot").alias("a"), F.greatest("vertex", "pivot").alias("b")).distinct())
     needed = stored(members.select("vertex").distinct())
     # One row for each representative text that any pair can need: whole texts travel once.
+    count = signed.where("doc_id is not null").agg(F.count("doc_id").alias("n"), F.count_distinct("doc_id").alias("k")).first()
+    repeats = count.n != count.k
     raws = docs.select(F.col("doc_id").alias("vertex"), F.col(text).cast("binary").alias("raw")).where("raw is not null and vertex is not null")
-    texts = stored(_likely(raws, needed).join(needed, "vertex", "left_semi"))
-    if signed.select("doc_id").count() != signed.select("doc_id").distinct().count():
-        texts = stored(texts.groupBy("vertex").agg(F.min("raw").alias("raw")))
+    if repeats:
+        named = needed.join(reps.select("vertex", "first", "digest"), "vertex")
+        own = raws.withColumn("digest", F.md5("raw")).withColumnRenamed("vertex", "first")
+        texts = stored(own.join(named, ["first", "digest"]).select("vertex", "raw").dropDuplicates(["vertex"]))
+    else:
+        texts = stored(_likely(raws, needed).join(needed, "vertex", "left_semi"))
     tested = stored(similarities(tried, texts, words=words))
     near = lambda df: df.where(F.col("sim") >= threshold - 1e-12).select("a", "b")
     links = stored(near(tested))
@@ -219,32 +235,49 @@ def classes(docs: DataFrame, *, words: int = 5, threshold: float = THRESHOLD, ba
     open_ = stored(open_.join(figures, "vertex"))
     mixed = open_.groupBy("bucket").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("bucket")
     open_ = open_.join(mixed, "bucket", "left_semi")
+    # A big bucket is dealt in blocks: its rows of the left side go to one block each, those of the right side to all.
+    sizes = open_.groupBy("bucket").agg(F.count("*").alias("n"))
+    open_ = open_.join(sizes, "bucket").withColumn("blocks", F.ceil(F.col("n") / block).cast("int")).drop("n")
     left, right = (open_.select([F.col(c).alias(f"{side}{c}") for c in open_.columns]) for side in ("l_", "r_"))
+    left = left.withColumn("l_block", F.pmod(F.hash("l_vertex"), F.col("l_blocks")))
+    right = right.withColumn("r_block", F.explode(F.sequence(F.lit(0), F.col("r_blocks") - 1)))
     close = F.abs(F.col("l_sim") - F.col("r_sim")) <= 1 - threshold + 1e-9
     # Registers agree with the similarity's chance: four deviations below the threshold nothing is linked but by a chance like that of missing every band.
     least = math.floor(bands * rows * threshold - 4 * math.sqrt(bands * rows * threshold * (1 - threshold)))
     alike = _agreeing("l_sketch", "r_sketch", bands * rows) >= least
     # A pair of several buckets is formed in the first; if one of the two is the pivot there, the pair has been tested.
     first = F.array_intersect("l_bands", "r_bands")[0] == F.col("l_bucket")
-    pairs = left.join(right, (F.col("l_bucket") == F.col("r_bucket")) & (F.col("l_component") != F.col("r_component")) & (F.col("l_vertex") < F.col("r_vertex")) & close & (most_similar("l_", "r_") >= threshold - 1e-9) & alike & first)
+    pairs = left.join(right, (F.col("l_bucket") == F.col("r_bucket")) & (F.col("l_block") == F.col("r_block")) & (F.col("l_component") != F.col("r_component")) & (F.col("l_vertex") < F.col("r_vertex")) & close & (most_similar("l_", "r_") >= threshold - 1e-9) & alike & first)
     fresh = stored(pairs.select(F.col("l_vertex").alias("a"), F.col("r_vertex").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
     more = stored(near(similarities(fresh, texts, words=words)))
     if not more.isEmpty():
         found = stored(connected_components(links.unionByName(more)).labels)
     labels = found.select(F.col("vertex").alias("_v"), F.col("component").alias("_c"))
-    named = reps.select("digest", "vertex").join(labels, F.col("vertex") == F.col("_v"), "left").select("digest", F.coalesce("_c", "vertex").alias("class_id"))
-    out = signed.select("doc_id", "digest").join(named, "digest", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
-    discard(members)
-    return out
-
-
-def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with the document of least id of each class; of rows that repeat an id one stays."""
-    found = stored(classes(docs, **options))
-    gone = found.where("class_id <> doc_id").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    ids = found.where("doc_id is not null").agg(F.count("*").alias("n"), F.count_distinct("doc_id").alias("k")).first()
-    if ids.n != ids.k:
-        nulls = kept.where("doc_id is null")
-        kept = kept.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(nulls)
-    return kept
+    joined = reps.select("digest", "vertex", "first").join(labels, F.col("vertex") == F.col("_v"), "left").select("digest", "first", F.coalesce("_c", "vertex").alias("_c"))
+    if repeats:
+        best = joined.groupBy("_c").agg(F.min(F.struct("first", "digest")).alias("best"))
+        joined = joined.join(best, "_c").select("digest", F.col("best.first").alias("class_id"), (F.col("digest") == F.col("best.digest")).alias("chosen"), "first")
+    else:
+        joined = joined.select("digest", F.col("_c").alias("class_id"), (F.col("first") == F.col("_c")).alias("chosen"), "first")
+    stays = F.col("doc_id").isNull() | F.col("chosen").isNull() | (F.col("chosen") & (F.col("doc_id") == F.col("first")))
+    out = signed.select("doc_id", "digest").join(joined, "digest", "left")
+    out = out.select("doc_id", "digest", F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id")).alias("class_id"), stays.alias("stays"))
+    discard(members, placed, tried, tested, needed)
+    return out, repeats
+
+
+def classes(docs: DataFrame, **options) -> DataFrame:
+    """doc_id and class_id, the least id among the texts that are linked, for every row of ``docs``; null for a null id."""
+    return _classes(docs, **options)[0].select("doc_id", "class_id")
+
+
+def keep_one(docs: DataFrame, *, text: str = "text", **options) -> DataFrame:
+    """``docs`` with one document of each class, that of least id; of rows that repeat an id with its text one stays, rows without an id all stay."""
+    found, repeats = _classes(docs, text=text, **options)
+    gone = stored(found.where("not stays").select("doc_id", "digest").distinct())
+    if not repeats:
+        return docs.join(gone.select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id"), F.md5(F.col(text).cast("binary")).alias("digest"))
+    kept = rows.join(gone, ["doc_id", "digest"], "left_anti")
+    named = kept.where("doc_id is not null and digest is not null").dropDuplicates(["doc_id", "digest"])
+    return named.unionByName(kept.where("doc_id is null or digest is null")).select("row.*")

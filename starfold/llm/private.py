@@ -13,6 +13,8 @@ has one pseudonym in every spelling.
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -42,6 +44,14 @@ DIGITS, LOWER, UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKL
 DAYS, FACTOR_A, FACTOR_B = 73049, 271, 270
 
 
+def mac(key: str, message: Column) -> Column:
+    """HMAC with SHA-256 of a text, as hexadecimal digits; the two padded keys are literals."""
+    raw = key.encode()
+    raw = (hashlib.sha256(raw).digest() if len(raw) > 64 else raw).ljust(64, b"\0")
+    inner, outer = bytes(b ^ 0x36 for b in raw), bytes(b ^ 0x5C for b in raw)
+    return F.sha2(F.concat(F.lit(outer), F.unhex(F.sha2(F.concat(F.lit(inner), message.cast("binary")), 256))), 256)
+
+
 def _let(value: Column, use) -> Column:
     """``use`` of a value that is computed once."""
     return F.transform(F.array(value), use)[0]
@@ -68,7 +78,7 @@ def permuted(value: Column, key: str, kind: str, alphabets: tuple[str, ...] = (D
     def turn(s: Column, k: Column) -> Column:
         left = k % 2 == 0
         target, other = F.when(left, s["l"]).otherwise(s["r"]), F.when(left, s["r"]).otherwise(s["l"])
-        stream = F.sha2(F.concat(F.lit(f"{key}|{kind}|"), k.cast("string"), F.lit("|"), other).cast("binary"), 256)
+        stream = mac(key, F.concat(F.lit(f"{kind}|"), k.cast("string"), F.lit("|"), other))
         moved = _let(stream, lambda h: _shift(target, h, alphabets))
         return _let(moved, lambda m: F.struct(F.when(left, m).otherwise(s["l"]).alias("l"), F.when(left, s["r"]).otherwise(m).alias("r")))
 
@@ -81,8 +91,8 @@ def _number_turns(left: Column, right: Column, key: str, kind: str, a: int, b: i
 
     def turn(s: Column, k: Column) -> Column:
         even = k % 2 == 0
-        word = F.concat(F.lit(f"{key}|{kind}|"), k.cast("string"), F.lit("|"), F.when(even, s["r"]).otherwise(s["l"]).cast("string"))
-        step = F.conv(F.substring(F.sha2(word.cast("binary"), 256), 1, 12), 16, 10).cast("bigint")
+        word = F.concat(F.lit(f"{kind}|"), k.cast("string"), F.lit("|"), F.when(even, s["r"]).otherwise(s["l"]).cast("string"))
+        step = F.conv(F.substring(mac(key, word), 1, 12), 16, 10).cast("bigint")
         return _let(step, lambda d: F.struct(F.when(even, F.pmod(s["l"] + d, F.lit(a))).otherwise(s["l"]).alias("l"), F.when(even, s["r"]).otherwise(F.pmod(s["r"] + d, F.lit(b))).alias("r")))
 
     return F.aggregate(F.sequence(F.lit(0), F.lit(ROUNDS - 1)), start, turn)
@@ -185,14 +195,15 @@ def pseudonym(m: Column, key: str) -> Column:
 def pseudonymize(docs: DataFrame, *, key: str, text: str = "text", count: str | None = "n_private") -> DataFrame:
     """``docs`` with private values of ``text`` replaced, and their number in ``count``."""
     names = [c for c in docs.columns if c != count]
-    t = F.col(text)
-    some = t.rlike(SOME)
-    found = docs.select(*names, F.when(some, F.regexp_extract_all(t, F.lit(ANY), F.lit(0))).alias("_m"))
-    fresh = found.withColumn("_f", F.when(F.size("_m") > 0, F.transform("_m", lambda m: pseudonym(m, key))))
+    rows = docs.select(F.struct("*").alias("row"), F.col(text).alias("t"))
+    t = F.col("t")
+    found = rows.select("row", "t", F.when(t.rlike(SOME), F.regexp_extract_all(t, F.lit(ANY), F.lit(0))).alias("m"))
+    fresh = found.withColumn("f", F.when(F.size("m") > 0, F.transform("m", lambda m: pseudonym(m, key))))
     pieces = F.split(t, ANY, -1)
-    joined = F.array_join(F.flatten(F.zip_with(pieces, F.concat("_f", F.array(F.lit(""))), lambda a, b: F.array(F.coalesce(a, F.lit("")), F.coalesce(b, F.lit(""))))), "")
-    changed = F.aggregate(F.zip_with("_m", "_f", lambda a, b: F.when(a != b, 1).otherwise(0)), F.lit(0), lambda a, x: a + x)
-    done = fresh.withColumn(text, F.when(F.size("_f") > 0, joined).otherwise(t))
+    joined = F.array_join(F.flatten(F.zip_with(pieces, F.concat("f", F.array(F.lit(""))), lambda a, b: F.array(F.coalesce(a, F.lit("")), F.coalesce(b, F.lit(""))))), "")
+    changed = F.aggregate(F.zip_with("m", "f", lambda a, b: F.when(a != b, 1).otherwise(0)), F.lit(0), lambda a, x: a + x)
+    some = F.size("f") > 0
+    out = [F.when(some, joined).otherwise(t).alias(text) if c == text else F.col(f"row.`{c}`") for c in names]
     if count:
-        done = done.withColumn(count, F.when(F.size("_f") > 0, changed).otherwise(0).cast("long"))
-    return done.select(*names, *([count] if count else []))
+        out.append(F.when(some, changed).otherwise(0).cast("long").alias(count))
+    return fresh.select(*out)

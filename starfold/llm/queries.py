@@ -6,10 +6,16 @@ import public_tokenizers
 from pyspark.sql import functions as F
 
 from starfold.llm import decontaminate, language, licenses, neardup, packing, private, quality, sharding, substrings, toxicity
+from starfold.llm.oracles import ORACLES  # noqa: F401
 from starfold.llm.shared import crc_part, documents, table
 
 TOKENIZER = public_tokenizers.path("word_bpe_49k.json")
-PRIVATE_KEY = "starfold-pseudonym-key"
+#: Session setting that holds the key of the pseudonyms; a run without it uses a public value, which hides nothing.
+PRIVATE_KEY_SETTING, PUBLIC_KEY = "spark.starfold.pseudonym.key", "public-demonstration"
+
+
+def private_key(spark) -> str:
+    return spark.conf.get(PRIVATE_KEY_SETTING, None) or PUBLIC_KEY
 
 
 def op1_language_id(spark, sf_dir):
@@ -39,7 +45,7 @@ def op5_substring_dedup(spark, sf_dir):
 
 
 def op6_pseudonyms(spark, sf_dir):
-    return private.pseudonymize(documents(spark, sf_dir).select("doc_id", "text"), key=PRIVATE_KEY)
+    return private.pseudonymize(documents(spark, sf_dir).select("doc_id", "text"), key=private_key(spark))
 
 
 def op7_near_duplicates(spark, sf_dir):
@@ -62,4 +68,3 @@ QUERIES = {f.__name__: f for f in (
     op1_language_id, op2_toxicity, op3_decontamination, op4_packing, op5_substring_dedup, op6_pseudonyms,
     op7_near_duplicates, op8_quality, op9_sharding, op10_licenses,
 )}
-ORACLES: dict[str, str] = {}

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import contextlib
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -52,14 +53,14 @@ _SCOPES: list[list[DataFrame]] = []
 
 
 @contextlib.contextmanager
-def scratch():
-    """Every table stored inside is deleted at the end, also after an error; what is to outlive it is stored outside."""
+def scratch() -> Iterator[list[DataFrame]]:
+    """Every table stored inside is deleted at the end, also after an error, but for those taken out of the list."""
     made: list[DataFrame] = []
     _SCOPES.append(made)
     try:
-        yield
+        yield made
     finally:
-        _SCOPES.remove(made)
+        _SCOPES[:] = [x for x in _SCOPES if x is not made]
         discard(*made)
 
 
