@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from starfold.llm import decontaminate, neardup, packing, private, quality
-from starfold.llm.queries import PRIVATE_KEY, TOKENIZER
-from starfold.llm.shared import documents, stored, table
+from starfold.llm.queries import TOKENIZER, private_key
+from starfold.llm.shared import discard, documents, scratch, stored, table
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,7 +26,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def pseudonyms(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Private values are replaced by format-preserving pseudonyms."""
-    return private.pseudonymize(docs, key=PRIVATE_KEY, count=None)
+    return private.pseudonymize(docs, key=private_key(spark), count=None)
 
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,7 +47,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The last stage's rows. What a stage writes for itself is deleted once its result is written, and that once the next one is."""
     docs = documents(spark, sf_dir)
     for _, stage in STAGES:
-        docs = stored(stage(spark, docs, sf_dir))
+        before = docs
+        with scratch() as made:
+            docs = stored(stage(spark, docs, sf_dir))
+            made[:] = [t for t in made if t is not docs]
+        discard(before)
     return docs
