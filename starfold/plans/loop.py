@@ -99,7 +99,7 @@ def tidy(method):
             kept = [*out.keep, *out.history]
             return out
         finally:
-            _RUNS.remove(made)
+            _RUNS[:] = [x for x in _RUNS if x is not made]
             discard(*[t for t in made if not any(t is k for k in kept)])
 
     return run
