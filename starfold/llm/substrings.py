@@ -7,7 +7,8 @@ falls into several units is it refined again, down to single strings. Documents
 travels is identifiers, folded within a chunk first, and the answers come back to the chunk as bits. Hence a
 passage that a third of all documents share is one entry a chunk.
 
-Equality is by 64-bit polynomial hashes of the bytes. Defined results: a null text is empty; a null id is later
+Equality is by polynomial hashes of the bytes: 96 bits and those of the bucket for a unit, 96 bits to two bases for
+a single string. Two different ones of 10^13 agree with a chance of about one in a thousand. Defined results: a null text is empty; a null id is later
 than every other; rows that repeat an id never cover each other; of equal texts all but those of least id are
 removed whole if they have ``length`` bytes, and stay whole if not.
 """
@@ -24,24 +25,25 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from starfold.llm.shared import stored
+from starfold.llm.shared import discard, stored
 from starfold.llm.shingles import BYTE, mix
 
 U = np.uint64
 NULL_ID = (1 << 63) - 1
-_BASE = 0x5851F42D4C957F2D
+_BASES = {"first": 0x5851F42D4C957F2D, "second": 0x2545F4914F6CDD1D}
 _POWERS: dict[str, np.ndarray] = {}
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse modulo 2^64, kept for the process."""
-    if len(_POWERS.get("up", ())) < n:
+def _powers(n: int, which: str = "first") -> tuple[np.ndarray, np.ndarray]:
+    """Powers of a base and of its inverse modulo 2^64, kept for the process."""
+    if len(_POWERS.get(which + "up", ())) < n:
         size = max(n, 1 << 20)
-        for name, base in (("up", _BASE), ("down", pow(_BASE, -1, 1 << 64))):
-            step = np.full(size, base, np.uint64)
+        base = _BASES[which]
+        for name, b in (("up", base), ("down", pow(base, -1, 1 << 64))):
+            step = np.full(size, b, np.uint64)
             step[0] = 1
-            _POWERS[name] = np.cumprod(step)
-    return _POWERS["up"][:n], _POWERS["down"][:n]
+            _POWERS[which + name] = np.cumprod(step)
+    return _POWERS[which + "up"][:n], _POWERS[which + "down"][:n]
 
 
 class Chunk:
@@ -108,27 +110,31 @@ class Chunk:
         self.entry_id = doc_id[self.entry]
 
     def strings(self, split: np.ndarray, dup: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Single strings of the units that are first of their kind in a bucket that split: places among ``start``, hash, entries (least id of each hash) and their ids."""
+        """Single strings of the units that are first of their kind in a bucket that split: places among ``start``, two hashes to different bases, and their ids."""
         e = self.entry_of
         take = (split[e] & ~dup[e] & (self.unit_id == self.entry_id[e])) if len(e) else np.zeros(0, bool)
         lo, n = self.unit_lo[take], self.unit_n[take]
         where = np.repeat(lo - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
         if not len(where):
             z = np.zeros(0, np.int64)
-            return z, np.zeros(0, np.uint64), z, z
+            return z, np.zeros(0, np.uint64), np.zeros(0, np.uint64), z
         s = self.start[where]
         h = mix((self.sums[s + self.length] - self.sums[s]) * self.down[s] + U(77))
-        return where, h, self.owner[where], self.ids[self.owner[where]]
-
-
-def _fold_strings(h: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Row of the least id of each hash, by (id, hash), and the entry of each row."""
-    order = np.lexsort((ids, h))
-    hs = h[order]
-    head = np.concatenate(([True], hs[1:] != hs[:-1])) if len(hs) else np.zeros(0, bool)
+        up, down = _powers(len(self.data), "second")
+        sums = np.zeros(len(self.data) + 1, np.uint64)
+        np.cumsum(mix(BYTE)[self.data] * up, out=sums[1:])
+        g = mix((sums[s + self.length] - sums[s]) * down[s] + U(78))
+        return where, h, g, self.ids[self.owner[where]]
+
+
+def _fold_strings(h: np.ndarray, g: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Row of the least id of each pair of hashes, by (id, hashes), and the entry of each row."""
+    order = np.lexsort((ids, g, h))
+    hs, gs = h[order], g[order]
+    head = np.concatenate(([True], (hs[1:] != hs[:-1]) | (gs[1:] != gs[:-1]))) if len(hs) else np.zeros(0, bool)
     group = np.cumsum(head) - 1
     first = order[head]
-    rank = np.lexsort((h[first], ids[first]))
+    rank = np.lexsort((g[first], h[first], ids[first]))
     back = np.empty(len(rank), np.int64)
     back[rank] = np.arange(len(rank))
     entry_of = np.empty(len(order), np.int64)
@@ -187,7 +193,9 @@ def _as_table(df: DataFrame, parts: int) -> DataFrame:
     spark = df.sparkSession
     name = f"chunks_{uuid.uuid4().hex}"
     df.write.bucketBy(parts, "part").mode("overwrite").saveAsTable(name)
-    return spark.table(name)
+    out = spark.table(name)
+    out._table_name = name
+    return out
 
 
 def _copies(chunks: DataFrame) -> DataFrame:
@@ -198,7 +206,7 @@ def _copies(chunks: DataFrame) -> DataFrame:
                 i = np.frombuffer(ids, "<i8")
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(i), part, np.int32)), pa.array(np.full(len(i), chunk)), pa.array(np.arange(len(i), dtype=np.int32)), pa.array(i), pa.array([digests[16 * k:16 * k + 16] for k in range(len(i))], pa.binary())], ["part", "chunk", "place", "id", "digest"])
 
-    rows = stored(chunks.select("part", "chunk", "ids", "digests").mapInArrow(step, "part int, chunk bigint, place int, id bigint, digest binary"))
+    rows = chunks.select("part", "chunk", "ids", "digests").mapInArrow(step, "part int, chunk bigint, place int, id bigint, digest binary")
     least = rows.groupBy("digest").agg(F.min("id").alias("least"), F.count("*").alias("n")).where("n > 1").select("digest", "least")
     late = rows.join(least, "digest").where("id > least")
     return late.groupBy("part").agg(F.collect_list(F.struct("chunk", "place")).alias("copies"))
@@ -222,21 +230,34 @@ def _opened(batch, length: int, gram: int):
         yield row, chunk, Chunk(raw, lens, ids, skip, length, gram), skip
 
 
-def _bits(row, index: int, chunk: int, kinds: int, counts: list[int]) -> list[np.ndarray]:
-    """Answer bits of each bucket, one array a kind."""
-    found = {b["bucket"]: b["bits"] for b in row.column(index)[0].as_py() or [] if b["chunk"] == chunk}
-    out = []
-    for bucket, n in enumerate(counts):
-        raw = np.unpackbits(np.frombuffer(found.get(bucket, b""), np.uint8)).astype(bool)
-        width = -(-n // 8) * 8
-        out.append([raw[k * width:k * width + n] if len(raw) else np.zeros(n, bool) for k in range(kinds)])
-    return out
+def _cut(bucket: np.ndarray) -> tuple[np.ndarray, list[tuple[int, np.ndarray]]]:
+    """Places sorted by bucket, and for each bucket that occurs its places in order; the work does not depend on how many buckets there are."""
+    order = np.argsort(bucket, kind="stable")
+    held = bucket[order]
+    at = np.flatnonzero(np.concatenate(([True], held[1:] != held[:-1]))) if len(held) else np.zeros(0, np.int64)
+    return order, list(zip(held[at].tolist(), np.split(order, at[1:]))) if len(at) else []
+
 
+def _asked(row, chunk: int, bucket: np.ndarray, load):
+    """Rows (bucket, part, chunk, n, load) of what a chunk asks each bucket that it has entries in."""
+    _, rows = _cut(bucket)
+    part, n = row.column(0)[0].as_py(), len(rows)
+    return pa.RecordBatch.from_arrays(
+        [pa.array([b for b, _ in rows], pa.int32()), pa.array([part] * n, pa.int32()), pa.array([chunk] * n, pa.int64()), pa.array([len(at) for _, at in rows], pa.int32()), pa.array([load(at) for _, at in rows], pa.binary())],
+        ["bucket", "part", "chunk", "n", "load"],
+    )
 
-def _spread(values: list[np.ndarray], bucket: np.ndarray, n: int) -> np.ndarray:
-    out = np.zeros(n, bool)
-    for b, v in enumerate(values):
-        out[bucket == b] = v
+
+def _replies(row, index: int, chunk: int, bucket: np.ndarray, kinds: int) -> list[np.ndarray]:
+    """The answer bits of every entry, one array a kind."""
+    found = {b["bucket"]: b["bits"] for b in row.column(index)[0].as_py() or [] if b["chunk"] == chunk}
+    out = [np.zeros(len(bucket), bool) for _ in range(kinds)]
+    for b, at in _cut(bucket)[1]:
+        raw = np.unpackbits(np.frombuffer(found.get(b, b""), np.uint8)).astype(bool)
+        width = -(-len(at) // 8) * 8
+        if len(raw):
+            for k in range(kinds):
+                out[k][at] = raw[k * width:k * width + len(at)]
     return out
 
 
@@ -247,27 +268,23 @@ def removed(docs: DataFrame, *, length: int = 50, gram: int = 26, chunk_bytes: i
     chunks = _as_table(chunked(docs, chunk_bytes=chunk_bytes, text=text), parts)
     total = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
     nb = int(max(parts, total // bucket_bytes))
+    copies = stored(_copies(chunks))
     slim = chunks.select("part", "chunk", "ids", "lens", "data")
-    with_copies = slim.join(stored(_copies(chunks)), "part", "left").select("part", "chunk", "ids", "lens", "data", "copies")
+    with_copies = slim.join(copies, "part", "left").select("part", "chunk", "ids", "lens", "data", "copies")
 
     def ask_units(batches):
         for batch in batches:
             for row, chunk, c, _ in _opened(batch, length, gram):
                 anchor, unit, ids = c.unit_anchor[c.entry], c.unit_hash[c.entry], c.entry_id
-                bucket = (anchor % U(nb)).astype(np.int64)
-                rows = [(b, np.flatnonzero(bucket == b)) for b in range(nb)]
-                rows = [(b, at) for b, at in rows if len(at)]
-                load = [(anchor[at] >> U(32)).astype("<u4").tobytes() + (unit[at] >> U(32)).astype("<u4").tobytes() + (unit[at] >> U(16)).astype("<u2").tobytes() + _pack_ids(ids[at]) for _, at in rows]
-                part = row.column(0)[0].as_py()
-                yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in rows], pa.int32()), pa.array([part] * len(rows), pa.int32()), pa.array([chunk] * len(rows), pa.int64()), pa.array([len(at) for _, at in rows], pa.int32()), pa.array(load, pa.binary())], ["bucket", "part", "chunk", "n", "load"])
+                yield _asked(row, chunk, (anchor % U(nb)).astype(np.int64), lambda at: (anchor[at] >> U(32)).astype("<u4").tobytes() + unit[at].astype("<u8").tobytes() + _pack_ids(ids[at]))
 
     asked = with_copies.mapInArrow(ask_units, "bucket int, part int, chunk bigint, n int, load binary")
 
     def answer_units(pdf):
         ns = pdf["n"].to_numpy()
         a = np.concatenate([np.frombuffer(x, "<u4", n) for x, n in zip(pdf["load"], ns)])
-        u = np.concatenate([(np.frombuffer(x, "<u4", n, 4 * n).astype(np.uint64) << U(16)) | np.frombuffer(x, "<u2", n, 8 * n) for x, n in zip(pdf["load"], ns)])
-        d = np.concatenate([_unpack_ids(x[10 * n:]) for x, n in zip(pdf["load"], ns)])
+        u = np.concatenate([np.frombuffer(x, "<u8", n, 4 * n) for x, n in zip(pdf["load"], ns)])
+        d = np.concatenate([_unpack_ids(x[12 * n:]) for x, n in zip(pdf["load"], ns)])
         order = np.lexsort((u, a))
         sa, su, sd = a[order], u[order], d[order]
         new_a = np.concatenate(([True], sa[1:] != sa[:-1]))
@@ -291,31 +308,25 @@ def removed(docs: DataFrame, *, length: int = 50, gram: int = 26, chunk_bytes: i
     second = second.select("part", "chunk", "ids", "lens", "data", "copies", "ub")
 
     def unit_bits(row, chunk, c):
-        bucket = (c.unit_anchor[c.entry] % U(nb)).astype(np.int64)
-        found = _bits(row, 6, chunk, 2, np.bincount(bucket, minlength=nb).tolist())
-        n = len(c.entry)
-        return _spread([x[0] for x in found], bucket, n), _spread([x[1] for x in found], bucket, n)
+        return _replies(row, 6, chunk, (c.unit_anchor[c.entry] % U(nb)).astype(np.int64), 2)
 
     def ask_strings(batches):
         for batch in batches:
             for row, chunk, c, _ in _opened(batch, length, gram):
                 dup, split = unit_bits(row, chunk, c)
-                _, h, _, ids = c.strings(split, dup)
-                entry, _ = _fold_strings(h, ids)
-                h, ids = h[entry], ids[entry]
-                bucket = (h % U(nb)).astype(np.int64)
-                rows = [(b, at) for b, at in ((b, np.flatnonzero(bucket == b)) for b in range(nb)) if len(at)]
-                load = [h[at].astype("<u8").tobytes() + _pack_ids(ids[at]) for _, at in rows]
-                part = row.column(0)[0].as_py()
-                yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in rows], pa.int32()), pa.array([part] * len(rows), pa.int32()), pa.array([chunk] * len(rows), pa.int64()), pa.array([len(at) for _, at in rows], pa.int32()), pa.array(load, pa.binary())], ["bucket", "part", "chunk", "n", "load"])
+                _, h, g, ids = c.strings(split, dup)
+                entry, _ = _fold_strings(h, g, ids)
+                h, g, ids = h[entry], g[entry], ids[entry]
+                yield _asked(row, chunk, (h % U(nb)).astype(np.int64), lambda at: h[at].astype("<u8").tobytes() + (g[at] >> U(32)).astype("<u4").tobytes() + _pack_ids(ids[at]))
 
     def answer_strings(pdf):
         ns = pdf["n"].to_numpy()
         h = np.concatenate([np.frombuffer(x, "<u8", n) for x, n in zip(pdf["load"], ns)])
-        d = np.concatenate([_unpack_ids(x[8 * n:]) for x, n in zip(pdf["load"], ns)])
-        order = np.argsort(h, kind="stable")
-        sh, sd = h[order], d[order]
-        new = np.concatenate(([True], sh[1:] != sh[:-1]))
+        g = np.concatenate([np.frombuffer(x, "<u4", n, 8 * n) for x, n in zip(pdf["load"], ns)])
+        d = np.concatenate([_unpack_ids(x[12 * n:]) for x, n in zip(pdf["load"], ns)])
+        order = np.lexsort((g, h))
+        sh, sg, sd = h[order], g[order], d[order]
+        new = np.concatenate(([True], (sh[1:] != sh[:-1]) | (sg[1:] != sg[:-1])))
         low = np.minimum.reduceat(sd, np.flatnonzero(new))
         dup = np.zeros(len(h), bool)
         dup[order] = sd > low[np.cumsum(new) - 1]
@@ -337,12 +348,10 @@ def removed(docs: DataFrame, *, length: int = 50, gram: int = 26, chunk_bytes: i
                 if len(c.entry_of):
                     late = dup[c.entry_of] | (c.unit_id > c.entry_id[c.entry_of])
                     flag = np.repeat(late, c.unit_n)
-                where, h, _, ids = c.strings(split, dup)
+                where, h, g, ids = c.strings(split, dup)
                 if len(where):
-                    entry, entry_of = _fold_strings(h, ids)
-                    bucket = (h[entry] % U(nb)).astype(np.int64)
-                    bits = _bits(row, 7, chunk, 1, np.bincount(bucket, minlength=nb).tolist())
-                    seen = _spread([x[0] for x in bits], bucket, len(entry))
+                    entry, entry_of = _fold_strings(h, g, ids)
+                    seen = _replies(row, 7, chunk, (h[entry] % U(nb)).astype(np.int64), 1)[0]
                     flag[where] = seen[entry_of] | (ids > ids[entry][entry_of])
                 cover = np.zeros(len(c.data) + 1, np.int32)
                 np.add.at(cover, c.start[flag], 1)
@@ -364,4 +373,8 @@ def removed(docs: DataFrame, *, length: int = 50, gram: int = 26, chunk_bytes: i
                 yield pa.RecordBatch.from_arrays(cols + ([pa.array(texts, pa.binary())] if with_text else []), ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["kept"] * with_text)
 
     out = last.mapInArrow(finish, "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept binary" * with_text)
-    return out.withColumn("doc_id", F.when(F.col("doc_id") != NULL_ID, F.col("doc_id")))
+    # The result is written, so that the chunks, which are as large as the texts, can go.
+    result = stored(out.withColumn("doc_id", F.when(F.col("doc_id") != NULL_ID, F.col("doc_id"))))
+    spark.sql(f"DROP TABLE {chunks._table_name}")
+    discard(copies, units, singles)
+    return result

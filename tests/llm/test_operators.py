@@ -245,3 +245,14 @@ def test_language_sample_holds_every_label(spark):
     rows = spark.range(1800).selectExpr("id as doc_id", "concat('l', id % 300) as lang")
     for bound in (100, 600):
         assert language.sample(rows, "lang", bound).select("lang").distinct().count() == 300
+
+
+def test_substrings_with_many_buckets_and_no_table_left(spark, docs):
+    key = lambda df: sorted(map(str, df.collect()))
+    want = key(substrings.removed(docs))
+    before = {t.name for t in spark.catalog.listTables()}
+    assert key(substrings.removed(docs, chunk_bytes=700, bucket_bytes=64)) == want
+    assert {t.name for t in spark.catalog.listTables()} == before and not any(t.startswith("chunks_") for t in before)
+    raw = b"".join((t or "").encode() for t in TEXTS)
+    text = {r.doc_id: r.kept for r in substrings.removed(docs, with_text=True).collect()}
+    assert text[4] == TEXTS[4].encode() and text[5] == b"" and len(raw) > sum(map(len, text.values()))
