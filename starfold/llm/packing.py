@@ -13,6 +13,7 @@ from __future__ import annotations
 import bisect
 import functools
 import heapq
+import os
 import re
 import struct
 import zlib
@@ -32,19 +33,25 @@ class CachedTokenizer:
 
     For a vocabulary that lower-cases, drops white space and splits between letters or digits and signs, the ids of
     a text are those of its lower-cased chunks, cut at ASCII white space and before the signs that end a word. A
-    text that may hold an added token, which is matched before all that, is cut at white space alone. The cache is
-    emptied when ``limit`` chunks are in it and holds none of more than ``longest`` bytes, so its memory is bounded
-    (about 0.3 GB at the default).
+    text that may hold an added token, which is matched before all that, is cut at white space alone. The cache has
+    two generations of ``limit`` chunks: a chunk that is met again moves to the younger one, and the older is dropped
+    when the younger is full. It holds no chunk of more than ``longest`` bytes, so its memory is bounded (about 0.13 GB
+    at the default); a Python worker keeps it from task to task.
     """
 
+    #: Chunks that are encoded at once.
+    BATCH = 2000
     #: ASCII signs between an ASCII letter or digit and white space or the end.
     LAST_SIGNS = re.compile(rb"([!-/:-@\[-`{-~](?<=[a-z0-9].)[!-/:-@\[-`{-~]*)(?=\s|$)")
 
-    def __init__(self, path: str, limit: int = 1_500_000, longest: int = 96):
+    def __init__(self, path: str, limit: int = 300_000, longest: int = 96):
+        # Every task has a core of its own: threads inside it would only hold memory.
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.cache: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
         self.limit, self.longest = limit, longest
         self.added = [t.content.encode() for t in self.tok.get_added_tokens_decoder().values()]
 
@@ -55,12 +62,16 @@ class CachedTokenizer:
     def encode(self, texts: list[bytes]) -> list[bytes]:
         split = [self.chunks(t) for t in texts]
         if len(self.cache) > self.limit:
-            self.cache.clear()
-        cache = self.cache
+            self.old, self.cache = self.cache, {}
+        cache, old = self.cache, self.old
         new = set().union(*split).difference(cache)
+        again = new.intersection(old)
+        cache.update((w, old[w]) for w in again)
+        new -= again
         long = [w for w in new if len(w) > self.longest]
         missing = list(new.difference(long))
-        for part in [*([w] for w in long), *(missing[at:at + 20_000] for at in range(0, len(missing), 20_000))]:
+        step = self.BATCH
+        for part in [*([w] for w in long), *(missing[at:at + step] for at in range(0, len(missing), step))]:
             for w, e in zip(part, self.tok.encode_batch_fast([w.decode("utf-8", "replace") for w in part], add_special_tokens=False)):
                 ids = e.ids
                 cache[w] = struct.pack(f"<{len(ids)}I", *ids)
