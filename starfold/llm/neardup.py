@@ -271,12 +271,14 @@ def classes(docs: DataFrame, **options) -> DataFrame:
     return _classes(docs, **options)[0].select("doc_id", "class_id")
 
 
-def keep_one(docs: DataFrame, *, text: str = "text", **options) -> DataFrame:
+def keep_one(docs: DataFrame, *, text: str = "text", most_sent: int = 1_000_000, **options) -> DataFrame:
     """``docs`` with one document of each class, that of least id; of rows that repeat an id with its text one stays, rows without an id all stay."""
     found, repeats = _classes(docs, text=text, **options)
     gone = stored(found.where("not stays").select("doc_id", "digest").distinct())
     if not repeats:
-        return docs.join(gone.select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
+        ids = gone.select("doc_id")
+        # Up to a checked number the ids are sent to the texts, which then stay where they lie.
+        return docs.join(F.broadcast(ids) if gone.count() <= most_sent else ids, "doc_id", "left_anti").select(*docs.columns)
     rows = docs.select(F.struct("*").alias("row"), F.col("doc_id"), F.md5(F.col(text).cast("binary")).alias("digest"))
     kept = rows.join(gone, ["doc_id", "digest"], "left_anti")
     named = kept.where("doc_id is not null and digest is not null").dropDuplicates(["doc_id", "digest"])
