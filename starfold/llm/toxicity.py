@@ -3,7 +3,8 @@
 Log-odds with an informative Dirichlet prior are learnt from a bounded sample of labelled rows. A linear-time scan
 finds every maximal segment of each text; their scores are set against the extreme-value law of chance segments,
 whose decay solves the moment equation of the background, and the significant ones are added up. A logistic
-curve, fitted on the same sample, turns the sum into a score.
+curve, fitted on the same sample, turns the sum into a score. The word thresholds are chosen by two halves of that
+sample, so no row outside it bears on them.
 
 Defined results: a null, empty or wordless text gets the score of no evidence; without labels of both kinds every
 score is the share of toxic rows (0 if there is none). Repeated rows are scored alike.
@@ -12,6 +13,7 @@ score is the share of toxic rows (0 if there is none). Repeated rows are scored
 from __future__ import annotations
 
 import math
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -22,6 +24,9 @@ from pyspark.sql import functions as F
 from starfold.llm.language import sample
 from starfold.llm.shared import text_words
 
+#: Least signed root of the likelihood ratio and least toxic texts of a word, to choose from by rows left out.
+GRID = tuple((least_g, texts) for least_g in (3.0, 4.0, 6.0) for texts in (2, 3))
+
 
 def maximal_segments(scores: list[tuple[int, float]]) -> list[tuple[float, int, int]]:
     """Every maximal scoring segment (score, first, last place) of (place, score) steps, in linear time.
@@ -90,19 +95,53 @@ class ToxicModel:
         return 1 / (1 + math.exp(-max(-60.0, min(60.0, z))))
 
 
-def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, least_g: float = 4.0, least_texts: int = 3, least_share: float = 0.3) -> ToxicModel:
-    """``rows`` are (text, label); ``share`` is the true share of toxic rows, since the sample is balanced."""
-    model = ToxicModel()
+def _tally(texts: list[tuple[list[bytes], int]]) -> tuple[list[Counter], list[Counter]]:
+    """Words of each label, and the texts of each label that a word is in."""
+    counts, spread = [Counter(), Counter()], [Counter(), Counter()]
+    for ws, y in texts:
+        counts[y].update(ws)
+        spread[y].update(set(ws))
+    return counts, spread
+
+
+def train(rows: list[tuple[str, int]], share: float, grid: tuple[tuple[float, int], ...] = GRID, strength: float = 500.0, least_share: float = 0.3) -> ToxicModel:
+    """``rows`` are (text, label); ``share`` is the true share of toxic rows, since the sample is balanced.
+
+    Least evidence and least toxic texts of a word are the point of ``grid`` whose scores lose least on halves of
+    ``rows`` that were not learnt from; equal texts are in one half.
+    """
     texts = [(text_words(t), y) for t, y in rows]
     if len({y for _, y in texts}) < 2:
+        model = ToxicModel()
         model.prior = float(share)
         return model
+    half = [zlib.crc32(t.encode("utf-8", "surrogatepass")) & 1 for t, _ in rows]
+    lost = [0.0] * len(grid)
+    for h in (0, 1):
+        known = [x for x, k in zip(texts, half) if k != h]
+        asked = [x for x, k in zip(texts, half) if k == h]
+        if len(grid) < 2 or len({y for _, y in known}) < 2 or not asked:
+            continue
+        tally = _tally(known)
+        y = np.array([y for _, y in asked], float)
+        wt = _label_weights(y, share, least_share)
+        for k, point in enumerate(grid):
+            model = _learn(known, tally, share, strength, *point, least_share)
+            p = np.clip([model.score(ws) for ws, _ in asked], 1e-9, 1 - 1e-9)
+            lost[k] -= float((wt * np.where(y == 1, np.log(p), np.log(1 - p))).sum())
+    return _learn(texts, _tally(texts), share, strength, *grid[lost.index(min(lost))], least_share)
+
+
+def _label_weights(y: np.ndarray, share: float, least_share: float) -> np.ndarray:
+    # Missing a toxic text costs more than a second look at a clean one: toxic rows weigh at least ``least_share``.
+    share = max(share, least_share)
+    return np.where(y == 1, share / max(1, y.sum()), (1 - share) / max(1, (1 - y).sum()))
+
+
+def _learn(texts: list[tuple[list[bytes], int]], tally: tuple[list[Counter], list[Counter]], share: float, strength: float, least_g: float, least_texts: int, least_share: float) -> ToxicModel:
+    model = ToxicModel()
     model.prior = None
-    counts = [Counter(), Counter()]
-    spread = [Counter(), Counter()]
-    for ws, y in texts:
-        counts[y].update(ws)
-        spread[y].update(set(ws))
+    counts, spread = tally
     n0, n1 = sum(counts[0].values()), sum(counts[1].values())
     both = n0 + n1
     docs1 = sum(y for _, y in texts)
@@ -118,7 +157,10 @@ def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, le
         if g >= least_g and (delta < 0 or (delta >= math.log(2) and spread[1][w] >= max(least_texts, 0.005 * docs1))):
             model.weights[w] = delta
     weights = model.weights
-    base = Counter(weights[w] for w in counts[0].elements() if w in weights) if n0 < 5_000_000 else Counter({weights[w]: c for w, c in counts[0].items() if w in weights})
+    base = Counter()
+    for w, c in counts[0].items():
+        if w in weights:
+            base[weights[w]] += c
     seen = sum(base.values())
     known = sum(s * c for s, c in base.items())
     # The background must drift down, or chance segments would grow without bound.
@@ -139,17 +181,22 @@ def train(rows: list[tuple[str, int]], share: float, strength: float = 500.0, le
     model.scale = math.exp(min(0.0, mean - 0.5772156649))
     x = np.array([math.log1p(model.evidence(ws)[0]) for ws, _ in texts])
     y = np.array([y for _, y in texts], float)
-    # Missing a toxic text costs more than a second look at a clean one: toxic rows weigh at least ``least_share``.
-    share = max(share, least_share)
-    wt = np.where(y == 1, share / max(1, y.sum()), (1 - share) / max(1, (1 - y).sum()))
-    a, b = 1.0, -1.0
+    wt = _label_weights(y, share, least_share)
+    cost = lambda a, b: float((wt * (np.logaddexp(0, a * x + b) - y * (a * x + b))).sum()) + 5e-6 * a * a + 5e-9 * b * b
+    a, b = 0.0, 0.0
+    now = cost(a, b)
     for _ in range(200):
         p = 1 / (1 + np.exp(-np.clip(a * x + b, -60, 60)))
-        g = np.array([(wt * (p - y) * x).sum() + 1e-5 * a, (wt * (p - y)).sum()])
-        q = wt * p * (1 - p) + 1e-9
+        g = np.array([(wt * (p - y) * x).sum() + 1e-5 * a, (wt * (p - y)).sum() + 1e-8 * b])
+        q = wt * p * (1 - p) + 1e-12
         h = np.array([[(q * x * x).sum() + 1e-5, (q * x).sum()], [(q * x).sum(), q.sum() + 1e-8]])
         step = np.linalg.solve(h, g)
-        a, b = a - np.clip(step[0], -2, 2), b - np.clip(step[1], -2, 2)
+        # A whole Newton step can overshoot where labels nearly part; the curve is convex, so a shorter one always lowers it.
+        while (then := cost(a - step[0], b - step[1])) > now and np.abs(step).max() > 1e-9:
+            step = step / 2
+        if then >= now - 1e-13:
+            break
+        a, b, now = a - step[0], b - step[1], then
     model.a, model.b = max(0.0, float(a)), float(b)
     return model
 

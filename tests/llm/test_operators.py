@@ -187,6 +187,21 @@ def test_toxicity_held_out(spark):
     assert 0 <= got[900].score < 0.7 and got[900].score == got[901].score
 
 
+def test_toxicity_thresholds_and_curve():
+    bad = ["vile", "scum", "trash"]
+    rows = [(prose(60, i) + (" " + " ".join(np.random.default_rng(i).choice(bad, 4)) if i % 4 == 0 else ""), int(i % 4 == 0)) for i in range(240)]
+    points = {p: toxicity.train(rows, 0.25, (p,)) for p in toxicity.GRID}
+    chosen = toxicity.train(rows, 0.25)
+    assert any(chosen.weights == m.weights and (chosen.a, chosen.b) == (m.a, m.b) for m in points.values())
+    # Labels that words part wholly push the curve to its limit; it must rise there and not end flat.
+    for m in points.values():
+        assert m.a > 0
+        low, high = m.score([b"abc"]), m.score([b"vile", b"scum", b"trash", b"vile"])
+        assert low < 0.1 and high > 0.9
+    one = toxicity.train([("abc def", 1), ("ghi", 1)], 1.0)
+    assert one.score([]) == 1.0 and toxicity.train([], 0.0).score([b"abc"]) == 0.0
+
+
 def test_licenses(docs, spark):
     df = spark.createDataFrame([(1, "x\nReleased under the MIT License.\ny"), (2, "Licensed under CC BY-NC 4.0."), (3, "an unrelated licensed plumber came by on tuesday"), (4, None)], "doc_id long, text string")
     got = {r.doc_id: (r.line, r.license, r.exact) for r in licenses.scan(df).collect()}
