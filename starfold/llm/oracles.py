@@ -27,8 +27,8 @@ def substring_dedup(length: int = 50) -> str:
     """Every string of ``length`` bytes as hexadecimal digits, cut from short blocks, its least document, and the runs of bytes that are covered."""
     return f"""
     WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
-    c AS (SELECT doc_id, at, substr(h, 2 * at + 1, {2 * (500 + length - 1)}) AS h FROM (SELECT doc_id, h, unnest(range(0, greatest(length(h) // 2 - {length - 1}, 0), 500)) AS at FROM d) q),
-    s AS (SELECT doc_id, at + k AS k, substr(h, 2 * k + 1, {2 * length}) AS x FROM (SELECT doc_id, at, h, unnest(range(0, length(h) // 2 - {length - 1})) AS k FROM c) q),
+    c AS (SELECT doc_id, place, substr(h, 2 * place + 1, {2 * (500 + length - 1)}) AS h FROM (SELECT doc_id, h, unnest(range(0, greatest(length(h) // 2 - {length - 1}, 0), 500)) AS place FROM d) q),
+    s AS (SELECT doc_id, place + k AS k, substr(h, 2 * k + 1, {2 * length}) AS x FROM (SELECT doc_id, place, h, unnest(range(0, length(h) // 2 - {length - 1})) AS k FROM c) q),
     f AS (SELECT x, min(doc_id) AS low FROM s GROUP BY x HAVING count(*) > 1),
     late AS (SELECT s.doc_id, s.k, lag(s.k) OVER (PARTITION BY s.doc_id ORDER BY s.k) AS was FROM s JOIN f ON s.x = f.x WHERE s.doc_id > f.low),
     runs AS (SELECT doc_id, k, sum(CASE WHEN was IS NULL OR k > was + {length} THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY k ROWS UNBOUNDED PRECEDING) AS r FROM late),
