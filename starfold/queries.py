@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from starfold.functions import measures
+from starfold.functions import keyed, measures
 from starfold.operators import alternating, baselines, incremental, paired
 from starfold.sources import graphs, tables
 from starfold.streaming.components import session_components
@@ -226,6 +226,7 @@ def _incremental(s, d):
     return incremental.merge_edges(old, e.where("a % 4 <> 0"))
 
 
+_add("star_merge_sessions", lambda s, d: keyed.components_by_key(tables.session_links(s, d)).select("vertex", "component"), SQL["session_chain"])
 _add("incremental_merge", _incremental, SQL["rare_return_orders"])
 _add(
     "session_window_components", lambda s, d: session_components(tables.table(s, d, "events", ["event_id", "user_id", "ts"])),

@@ -57,11 +57,18 @@ def user_event_chain(spark, d):
     return _chain(table(spark, d, "events", ["event_id", "user_id", "ts"]), "user_id", ["ts", "event_id"], "event_id")
 
 
-def session_chain(spark, d):
+def session_links(spark, d):
+    """(key, a, b): consecutive events of a user, the key, less than half an hour apart."""
     ev = table(spark, d, "events", ["event_id", "user_id", "ts"])
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
     near = ev.withColumn("nxt", F.lead("event_id").over(w)).withColumn("at", F.lead("ts").over(w))
-    return _pairs(near.where(F.unix_micros(F.col("at").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp")) < 1_800_000_000), F.col("event_id"), F.col("nxt"))
+    near = near.where(F.unix_micros(F.col("at").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp")) < 1_800_000_000)
+    return near.select(F.col("user_id").alias("key"), F.col("event_id").alias("a"), F.col("nxt").alias("b"))
+
+
+def session_chain(spark, d):
+    links = session_links(spark, d)
+    return _pairs(links, F.col("a"), F.col("b"))
 
 
 def turn_chain(spark, d):

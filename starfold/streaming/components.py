@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from starfold.functions.keyed import Forest
 from starfold.operators.incremental import merge_edges
 
 
@@ -46,3 +50,32 @@ def session_components(events: DataFrame, gap: str = "30 minutes", late: str = "
     return rows.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.min("event_id").alias("component"), F.count("*").alias("n")).select("user_id", "component", "n")
 
 
+def keyed_components(edges: DataFrame, idle_ms: int | None = None) -> DataFrame:
+    """Components of an edge stream (key, a, b) within each key, kept as state: every batch gives (key, vertex, component) of the labels it made or changed.
+
+    The state of a key holds its vertices, so it is for keys of bounded size (a user, a session); ``idle_ms`` drops a
+    key after that much processing time without a row. Rows with a null end link nothing. A component is named by its
+    least vertex, so labels only fall and the last row of a vertex is its label. With ``idle_ms`` Spark starts a batch
+    even without rows, so such a query never ends under the availableNow trigger: give it an interval.
+    """
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        old = dict(zip(*state.get, strict=True)) if state.exists else {}
+        forest = Forest(old)
+        for batch in batches:
+            ends = batch[["a", "b"]].dropna().astype("int64")
+            for a, b in zip(ends["a"].tolist(), ends["b"].tolist(), strict=True):
+                forest.link(a, b)
+        new = forest.labels()
+        state.update((list(new), list(new.values())))
+        if idle_ms is not None:
+            state.setTimeoutDuration(idle_ms)
+        moved = [(v, c) for v, c in new.items() if old.get(v) != c]
+        yield pd.DataFrame({"key": [key[0]] * len(moved), "vertex": [v for v, _ in moved], "component": [c for _, c in moved]}, dtype="int64")
+
+    rows = edges.select(*[F.col(c).cast("long").alias(c) for c in ("key", "a", "b")]).where("key is not null")
+    timeout = GroupStateTimeout.NoTimeout if idle_ms is None else GroupStateTimeout.ProcessingTimeTimeout
+    return rows.groupBy("key").applyInPandasWithState(step, "key long, vertex long, component long", "vertices array<long>, components array<long>", "update", timeout)

@@ -5,12 +5,13 @@ import sys
 import pytest
 from pyspark.sql import functions as F
 
+from starfold.functions import keyed
 from starfold.functions import measures as M
 from starfold.operators import alternating as A
 from starfold.operators import baselines as B
 from starfold.sources import graphs as G
 from starfold.sources import readers
-from starfold.streaming.components import ComponentStream, session_components
+from starfold.streaming.components import ComponentStream, keyed_components, session_components
 
 SMALL = [(0, 1), (1, 2), (5, 6), (8, 9), (9, 10), (2, 7)]
 
@@ -63,6 +64,43 @@ def test_sessions_of_a_stream_equal_those_of_the_table(spark, tmp_path):
     assert got == {tuple(r) for r in session_components(ev).collect()}
 
 
+KEYED = [(1, 0, 1), (1, 1, 2), (2, 1, 2), (1, 5, 6), (1, 6, 2), (2, 9, 9), (3, None, 4), (2, 8, 2), (1, 0, 1)]
+
+
+def by_key(rows):
+    parts = {k: [(a, b) for j, a, b in rows if j == k and a is not None] for k, _, _ in rows}
+    want = {}
+    for k, edges in parts.items():
+        forest = keyed.Forest()
+        for a, b in edges:
+            forest.link(a, b)
+        want |= {(k, v): c for v, c in forest.labels().items()}
+    return want
+
+
+def test_table_function_finds_components_within_a_key(spark):
+    edges = spark.createDataFrame(KEYED, "key long, a long, b long")
+    want = {(1, v): 0 for v in (0, 1, 2)} | {(1, 5): 0, (1, 6): 0, (2, 1): 1, (2, 2): 1, (2, 8): 1, (2, 9): 9}
+    assert by_key(KEYED) == want
+    assert {(r.key, r.vertex): r.component for r in keyed.components_by_key(edges).collect()} == want
+    spark.udtf.register("star_merge", keyed.star_merge)
+    edges.createOrReplaceTempView("keyed_edges")
+    rows = spark.sql("SELECT * FROM star_merge(TABLE(keyed_edges) PARTITION BY key)").collect()
+    assert {(r.key, r.vertex): r.component for r in rows} == want
+    assert keyed.components_by_key(edges.limit(0)).count() == 0
+
+
+def test_state_of_a_key_follows_the_stream(spark, tmp_path):
+    for k in range(3):
+        spark.createDataFrame(KEYED[3 * k:3 * k + 3], "key long, a long, b long").coalesce(1).write.parquet(str(tmp_path / "in" / f"k{k}"))
+    rows = spark.readStream.schema("key long, a long, b long").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
+    for idle, name, trigger in ((None, "kept", {"availableNow": True}), (3_600_000, "timed", {"once": True})):
+        q = keyed_components(rows, idle).writeStream.format("memory").queryName(name).outputMode("update").option("checkpointLocation", str(tmp_path / name)).trigger(**trigger).start()
+        assert q.awaitTermination(60)
+        last = {(r.key, r.vertex): r.component for r in spark.table(name).groupBy("key", "vertex").agg(F.min("component").alias("component")).collect()}
+        assert last == by_key(KEYED)
+
+
 def test_relabel_orders(spark):
     path = G.from_pairs(spark, [(1, 2), (2, 3), (2, 9)])
     new = lambda how: {r.vertex: r.new for r in G.relabel(path, how)[1].collect()}
