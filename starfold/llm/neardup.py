@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from starfold.llm import shingles as S
-from starfold.llm.shared import discard, stored
+from starfold.llm.shared import discard, resting, stored
 from starfold.operators.alternating import connected_components
 
 THRESHOLD = 0.8
@@ -57,7 +57,7 @@ def with_bands(docs: DataFrame, *, words: int = 5, bands: int = BANDS, rows: int
                 sketch = pa.ListArray.from_arrays(pa.array(np.arange(len(texts) + 1) * packed.shape[1], pa.int32()), pa.array(packed.reshape(-1)))
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), lists, sketch], ["doc_id", "digest", "bands", "sketch"])
 
-    return base.mapInArrow(step, f"doc_id {id_type}, digest string, bands array<bigint>, sketch array<bigint>")
+    return base.mapInArrow(resting(step), f"doc_id {id_type}, digest string, bands array<bigint>, sketch array<bigint>")
 
 
 def _agreeing(a: str, b: str, registers: int):
@@ -97,7 +97,7 @@ def similarities(pairs: DataFrame, texts: DataFrame, *, words: int = 5) -> DataF
                 part = batch.slice(first, n)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sim, pa.float64())], ["a", "b", "sim"])
 
-    return joined.mapInArrow(step, "a bigint, b bigint, sim double")
+    return joined.mapInArrow(resting(step), "a bigint, b bigint, sim double")
 
 
 def own_shingles(members: DataFrame, texts: DataFrame, *, words: int = 5, bytes_per_part: int = 4 << 20) -> DataFrame:
@@ -152,7 +152,7 @@ def own_shingles(members: DataFrame, texts: DataFrame, *, words: int = 5, bytes_
         ]
         return pa.table([pa.array(c.astype(np.int64)) for c in cols], ["vertex", "total", "excess", "lone", "lone_kinds"])
 
-    counted = rows.mapInArrow(pack, "part int, data binary").groupBy("part").applyInArrow(count, "vertex bigint, total bigint, excess bigint, lone bigint, lone_kinds bigint")
+    counted = rows.mapInArrow(resting(pack), "part int, data binary").groupBy("part").applyInArrow(count, "vertex bigint, total bigint, excess bigint, lone bigint, lone_kinds bigint")
     return counted.groupBy("vertex").agg(*(F.sum(c).alias(c) for c in ("total", "excess", "lone", "lone_kinds")))
 
 

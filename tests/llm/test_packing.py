@@ -96,3 +96,26 @@ def test_repeated_and_drawn_pieces_end_near_the_bound():
         found = packing.local_search(packing.best_fit(sizes, 4096), sizes, 4096)
         check(found, sizes, 4096)
         assert len(found) <= -(-int(sizes.sum()) // 4096) + 2 or sizes.min() > 2048
+
+
+def test_idle_workers_drop_the_tokenizer(spark):
+    """A worker keeps it from task to task, and gives it back once it rests."""
+    import time
+
+    from starfold.llm.shared import REST_S
+
+    def held(batches):
+        import pyarrow as pa
+
+        from starfold.llm import packing
+
+        for _ in batches:
+            pass
+        yield pa.RecordBatch.from_pydict({"n": [packing.worker_tokenizer.cache_info().currsize]})
+
+    docs = spark.range(8, numPartitions=4).selectExpr("id as doc_id", "concat('some text ', id) as text")
+    assert packing.tokenized_pieces(docs, PATH).count() == 8
+    look = lambda: sum(r.n for r in docs.select("doc_id").mapInArrow(held, "n bigint").collect())
+    assert look() > 0
+    time.sleep(REST_S + 1.5)
+    assert look() == 0
