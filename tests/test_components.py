@@ -98,3 +98,22 @@ def test_flood_queries_have_no_cut_and_a_cut_run_raises(spark):
             assert {r.vertex: r.component for r in queries._labels("small", method)(spark, "").collect()} == B.union_find(e)
             with pytest.raises(RuntimeError, match="not converged"):
                 queries._labels("small", lambda x, f=method, c=cut: f(x, **c))(spark, "")
+
+
+@pytest.mark.parametrize("slice_rows", [1 << 20, 6])
+def test_flood_only_appends_what_a_step_adds(spark, slice_rows):
+    """The edges of every step are those of the plain rule, and none is written twice."""
+    got = B.duplicating_flood(G.from_pairs(spark, SMALL), slice_rows=slice_rows)
+    both, sizes = {(x, y) for a, b in SMALL for x, y in ((a, b), (b, a))}, []
+    while not sizes or sizes[-1] != (sizes[-2] if sizes[1:] else 0):
+        least = {v: min(v, *(d for s, d in both if s == v)) for v, _ in both}
+        made = {(u, least[v]) for v, u in both if u != least[v]}
+        both |= made | {(y, x) for x, y in made}
+        sizes.append(len(both))
+    assert [m["edges_out"] for m in got.metrics] == sizes
+    assert sorted(map(tuple, got.edges.collect())) == sorted(both)
+    assert labels(got) == B.union_find(G.from_pairs(spark, SMALL))
+    written = [t for t in got.keep if "dst" in t.columns]
+    assert len(written) > 1 and sum(t.count() for t in written) == len(both)
+    cut = B.duplicating_flood(G.from_pairs(spark, SMALL), slice_rows=slice_rows, max_steps=1)
+    assert not cut.converged and cut.edges.count() == sizes[0]
