@@ -142,3 +142,22 @@ def test_a_cluster_needs_a_shared_folder():
     fake = SimpleNamespace(conf=SimpleNamespace(get=lambda k, d: d), sparkContext=SimpleNamespace(_jsc=jvm, master="local-cluster[3,2,1000]"))
     with pytest.raises(RuntimeError, match="share"):
         ensure_checkpoint_dir(fake)
+
+
+def agrees_with_sql(spark, folder, query):
+    import duckdb
+    from starfold import queries
+
+    con = duckdb.connect()
+    for f in folder.iterdir():
+        con.execute(f"CREATE VIEW {f.stem} AS SELECT * FROM read_parquet('{f}/*.parquet')")
+    want = sorted(con.execute(queries.ORACLES[query]).fetchall())
+    assert sorted(map(tuple, queries.QUERIES[query](spark, str(folder)).collect())) == want
+    return dict(want)
+
+
+def test_recursive_sql_walks_a_given_table(spark, tmp_path):
+    spark.createDataFrame([(0, 1), (1, 1), (2, 0), (3, None)], "n_nationkey int, n_regionkey int").write.parquet(str(tmp_path / "nation.parquet"))
+    spark.createDataFrame([(7, 0), (8, 1), (9, 2), (10, 2), (11, 40), (12, None), (7, 0)], "s_suppkey long, s_nationkey int").write.parquet(str(tmp_path / "supplier.parquet"))
+    got = agrees_with_sql(spark, tmp_path, "baseline_recursive_sql")
+    assert got[7] == got[8] == 1 - 2_000_000 and got[9] == got[10] == -2_000_000 and got[11] == 40 - 1_000_000
