@@ -161,3 +161,15 @@ def test_recursive_sql_walks_a_given_table(spark, tmp_path):
     spark.createDataFrame([(7, 0), (8, 1), (9, 2), (10, 2), (11, 40), (12, None), (7, 0)], "s_suppkey long, s_nationkey int").write.parquet(str(tmp_path / "supplier.parquet"))
     got = agrees_with_sql(spark, tmp_path, "baseline_recursive_sql")
     assert got[7] == got[8] == 1 - 2_000_000 and got[9] == got[10] == -2_000_000 and got[11] == 40 - 1_000_000
+
+
+def test_four_paths_take_every_order_from_a_given_table(spark, tmp_path):
+    from starfold.sources import tables
+
+    keys = [*range(96), 100, 101, 102, 105, 106, 110, -3, -2, None, 7]
+    spark.createDataFrame([(k,) for k in keys], "c_custkey long").write.parquet(str(tmp_path / "customer.parquet"))
+    got = agrees_with_sql(spark, tmp_path, "four_path_labels")
+    assert len(got) == 96 + 3 + 2 + 2 and all(got[v] == v - v % 4 for v in range(96))
+    steps = {(r.a, r.b) for r in tables.four_paths(spark, str(tmp_path)).where("a between 0 and 95").collect()}
+    paths = {frozenset((a % 4, b % 4) for a, b in steps if a // 4 == g) for g in range(24)}
+    assert len(steps) == 72 and len(paths) == 12
