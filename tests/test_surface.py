@@ -158,7 +158,7 @@ def agrees_with_sql(spark, folder, query):
 
 def test_recursive_sql_walks_a_given_table(spark, tmp_path):
     spark.createDataFrame([(0, 1), (1, 1), (2, 0), (3, None)], "n_nationkey int, n_regionkey int").write.parquet(str(tmp_path / "nation.parquet"))
-    spark.createDataFrame([(7, 0), (8, 1), (9, 2), (10, 2), (11, 40), (12, None), (7, 0)], "s_suppkey long, s_nationkey int").write.parquet(str(tmp_path / "supplier.parquet"))
+    spark.createDataFrame([(7, 0), (8, 1), (9, 2), (10, 2), (11, 40), (12, None), (7, 0)], "c_custkey long, c_nationkey int").write.parquet(str(tmp_path / "customer.parquet"))
     got = agrees_with_sql(spark, tmp_path, "baseline_recursive_sql")
     assert got[7] == got[8] == 1 - 2_000_000 and got[9] == got[10] == -2_000_000 and got[11] == 40 - 1_000_000
 
