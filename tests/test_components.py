@@ -117,3 +117,45 @@ def test_flood_only_appends_what_a_step_adds(spark, slice_rows):
     assert len(written) > 1 and sum(t.count() for t in written) == len(both)
     cut = B.duplicating_flood(G.from_pairs(spark, SMALL), slice_rows=slice_rows, max_steps=1)
     assert not cut.converged and cut.edges.count() == sizes[0]
+
+
+FAR = [(-(2**63), 2**63 - 1), (2**63 - 1, 5), (5, -7), (40, 41), (41, 42), (42, 40)]
+
+
+def test_flood_stores_and_exchanges_slices_not_edges(spark):
+    """Steps hand packed slices from task to task: tables have a row for a slice, whatever the number of its edges."""
+    got = B.duplicating_flood(G.seq_path(spark, 8))
+    tables = [t for t in got.keep if "dst" not in t.columns]
+    assert len(tables) == got.n_steps + 2 and got.converged
+    assert all(t.count() <= 2 for t in tables) and got.edges.count() == got.metrics[-1]["edges_out"] > 2000
+    assert set(labels(got).values()) == {0} and len(labels(got)) == 256
+
+
+@pytest.mark.parametrize("slice_rows", [1 << 20, 4])
+def test_flood_takes_all_longs_other_types_and_no_edges(spark, slice_rows):
+    far = G.from_pairs(spark, FAR)
+    assert labels(B.duplicating_flood(far, slice_rows=slice_rows)) == B.union_find(far)
+    assert labels(B.duplicating_flood(G.from_pairs(spark, []), slice_rows=slice_rows)) == {}
+    small = B.duplicating_flood(far.where("a between 40 and 42").selectExpr("cast(a as int) a", "cast(b as short) b"), slice_rows=slice_rows)
+    assert small.labels.schema["vertex"].dataType.simpleString() == "int" and labels(small) == {40: 40, 41: 40, 42: 40}
+    names = B.duplicating_flood(spark.createDataFrame([("b", "a"), ("c", "b"), ("x", "y"), ("x", None)], "a string, b string"), slice_rows=slice_rows)
+    assert labels(names) == {"a": "a", "b": "a", "c": "a", "x": "x", "y": "x"}
+    assert sorted(map(tuple, names.edges.collect())) == sorted((x, y) for p in ("ab", "bc", "ac", "xy") for x, y in (p, p[::-1]))
+
+
+def test_packed_pairs_equal_plain_sets():
+    import numpy as np
+
+    from starfold.operators import packed as P
+
+    rng = np.random.default_rng(3)
+    for low, high in ((0, 9), (-50, 50), (0, 2**31), (-(2**63), 2**63 - 1), (2**62, 2**63 - 1)):
+        a, b, c, d = (rng.integers(low, high, 300) for _ in range(4))
+        a, b = np.r_[a, a[:50], c[:20]], np.r_[b, b[:50], d[:20]]
+        want = sorted(set(zip(a.tolist(), b.tolist())) - set(zip(c.tolist(), d.tolist())))
+        x, y = P.unseen(a, b, (c, d))
+        assert list(zip(x.tolist(), y.tolist())) == want
+        rows = list(P.dealt("down", x, y, 7))
+        assert sum(n for _, _, n, _ in rows) == len(want)
+        back = [(v, w) for _, s, _, data in rows for v, w in zip(*(z.tolist() for z in P._all([data]))) if P.slot_of(np.array([v]), 7)[0] == s]
+        assert sorted(back) == want
